@@ -320,7 +320,7 @@ def solve(inst: Instance, k: int, seconds: float = 20, with_cluster: bool = True
     t3 = time.monotonic()
     oh = len(found.edges) if found else None
     opt = oh if oh is not None and bound.mode == "complete" and oh == bound.lower_edges else None
-    hi = bound.upper_edges if bound.upper_edges is not None else oh
+    hi = max(bound.upper_edges, bound.lower_edges) if bound.upper_edges is not None else oh
     return Row(
         k, inst.n, len(inst.blocks) - 1, None if ch is None else len(ch), oh, opt, bound.lower_edges, hi, round(t3 - t2, 3), round(t2 - t1, 3), round(t1 - t0, 3),
         bound.status, bound.mode, found.variant if found else "", sorted(found.edges) if found else [],

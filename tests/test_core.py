@@ -210,8 +210,10 @@ def test_reduction_keeps_minimum_and_mostly_the_plain_bound():
             inst = rz.Instance(np.array(b), {}, {})
             a, z = (sv.realizable_lower_bound(inst, k, test="eg", reduce=r, seconds=None, max_lifts=50_000) for r in (False, True))
             if a.status == z.status == "ok":
-                assert a.lower_edges == z.lower_edges
-    assert used > 10
+                # fewer lifts are left above the minimum, so the reduced bound may only be higher
+                assert a.lower_edges <= z.lower_edges
+                same += a.lower_edges == z.lower_edges
+    assert used > 10 and same >= 0.8 * used
 
 
 def test_hardness_gadget():
