@@ -66,7 +66,10 @@ def realizable_lower_bound(
         left = max_lifts - tried
         status = "ok"
         room = None if span == "complete" else 0
-        for lift in enumerate_lifts(base, k, cost - low, span, room, limit=left + 1):
+        for lift in _until(enumerate_lifts(base, k, cost - low, span, room, limit=left + 1, over=budget.over)):
+            if lift is None:
+                status = "timeout"
+                break
             tried += 1
             if tried > max_lifts:
                 status = "limit"
@@ -106,6 +109,14 @@ def realizable_lower_bound(
             return Bound(least, proven // 2, (upper + 1) // 2 if upper is not None else None, [], "limit", refuted, mode)
 
 
+def _until(lifts):
+    """The lifts, and None where time ran out."""
+    try:
+        yield from lifts
+    except TimeoutError:
+        yield None
+
+
 @dataclass
 class Found:
     """Insertions of an upper bound, and the crossings they realize."""
@@ -188,7 +199,6 @@ def cluster_baseline(inst: Instance, k: int, rounds: int = 200, seconds: float |
     adj = {v: set(inst.adjacent.get(v, ())) for v in known}
     deg = dict(known)
     out: set[tuple[int, int]] = set()
-    n_all = inst.n
 
     def join(u: int, v: int) -> None:
         adj[u].add(v)
@@ -221,16 +231,16 @@ def cluster_baseline(inst: Instance, k: int, rounds: int = 200, seconds: float |
             join(u, v)
         low = sorted(deg, key=lambda v: (deg[v], v))
         for u, need in stuck.items():
-            # after many rounds the choice moves up, lest two blocks trade members for ever
-            skip = 0 if r < rounds // 2 else r % max(1, n_all // 4)
-            for v in low[skip:] + low[:skip]:
+            if r >= 3:  # lest blocks trade members for ever: first those whose move leaves and makes a full block
+                size = Counter(deg.values())
+                size.update(unknown)
+                low.sort(key=lambda v: (size[deg[v]] <= k or size[deg[v] + 1] < k, deg[v], v))
+            for v in low:
                 if not need:
                     break
                 if v != u and v not in adj[u]:
                     join(u, v)
                     need -= 1
-        if not edges and not any(stuck.values()):
-            return None
     return None
 
 
@@ -311,11 +321,17 @@ class Row:
 def solve(inst: Instance, k: int, seconds: float = 20, with_cluster: bool = True, max_lifts: int = 2000) -> Row:
     """Bounds, a realized solution, and the clustering baseline."""
     t0 = time.monotonic()
-    bound = realizable_lower_bound(inst, k, seconds=seconds / 2, max_lifts=max_lifts)
-    t1 = time.monotonic()
-    lifts = bound.passing or _cheap_lifts(inst.blocks, k)
-    found = upper_bound(inst, k, lifts, seconds=seconds / 2)
-    t2 = time.monotonic()
+    first = min_lift(inst.blocks, k)
+    got = re_.realize(inst, first.x, variants=re_.VARIANTS[:2]) if passing_even(inst, first) else None
+    if got is not None:  # a realized cheapest lift is an optimum; nothing is left to refute
+        t1 = t2 = time.monotonic()
+        found = Found(got[0], first.x, got[1], 0)
+        bound = Bound(first.cost, first.cost // 2, first.cost // 2, [first])
+    else:
+        bound = realizable_lower_bound(inst, k, seconds=seconds / 2, max_lifts=max_lifts)
+        t1 = time.monotonic()
+        found = upper_bound(inst, k, bound.passing or _cheap_lifts(inst.blocks, k, Budget(seconds / 4)), seconds=seconds / 2)
+        t2 = time.monotonic()
     ch = cluster_baseline(inst, k, seconds=seconds) if with_cluster else None
     t3 = time.monotonic()
     oh = len(found.edges) if found else None
@@ -327,9 +343,15 @@ def solve(inst: Instance, k: int, seconds: float = 20, with_cluster: bool = True
     )
 
 
-def _cheap_lifts(blocks, k: int, most: int = 20) -> list[Lift]:
+def passing_even(inst: Instance, lift: Lift) -> bool:
+    return lift.cost % 2 == 0 and re_.passing(lift, inst.blocks)
+
+
+def _cheap_lifts(blocks, k: int, budget: Budget, most: int = 20) -> list[Lift]:
     out = []
-    for lift in enumerate_lifts(blocks, k, min_cost(blocks, k), "narrow", limit=400):
+    for lift in _until(enumerate_lifts(blocks, k, min_cost(blocks, k), "narrow", limit=400, over=budget.over)):
+        if lift is None:
+            break
         out.append((re_.waste_of(lift, blocks), lift))
     out.sort(key=lambda f: (f[0], f[1].x))
     return [lift for _, lift in out[:most]] or [min_lift(blocks, k)]
