@@ -3,9 +3,9 @@
 The automaton reads tokens; what it accepts are exactly the token sequences that applying the merges in
 order would leave. It starts as one state on which every byte loops. The gadget of a merge (u, v) -> w forks
 the state behind u: the fork lacks the arc v, and all u-arcs lead to it from then on; and wherever an arc u
-leads on to an arc v, an arc w is added to where v leads. As all arcs of a label end in one state, a state is
-stored as what it forked from, the label it lacks and the number of the merge, and a label as its parts,
-number and target; the arcs follow from these by rules and are tabulated when first asked for.
+leads on to an arc v, an arc w is added to where v leads. So all arcs of a label end in one state, and a state
+is told by a label and a time: the state behind w is at first the one behind v, and what was forked from it
+before. Forks are kept by (u, v) with their number; the arcs follow, and are tabulated when first asked for.
 
 Encoding a pre-split word walks arcs whose labels spell it; the accepted sequence is unique, so a walk that
 gets stuck backs up and what failed from a place and state isn't tried again. Decoding emits arc labels.
@@ -26,14 +26,16 @@ import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame, SparkSession
 
-from crowding.llm.common import slices, table, utf8
+from crowding.llm.common import claim, slices, table, utf8
 
 #: White space, and the pattern that splits the rest of a text into words.
 SPACE = "\\t-\\r \\x85\\xa0\\u1680\\u2000-\\u200a\\u2028\\u2029\\u202f\\u205f\\u3000"
 _OUTER = re.compile(f" ?[^{SPACE}]+|[{SPACE}]+(?![^{SPACE}])|[{SPACE}]+")
 _INNER = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\p{L}\p{N} ]+|\s+")
 #: Segments and words a worker keeps.
-CACHE = 300_000
+CACHE = 400_000
+#: Tabulated arcs.
+TABLE = 1_000_000
 
 
 def byte_letters() -> dict[str, int]:
@@ -51,88 +53,98 @@ class Automaton:
         self.label: list[bytes] = [b""] * n
         for s, i in vocab.items():
             self.label[i] = s
-        self.ids = vocab
-        self.left, self.born, self.target = [-1] * n, [-1] * n, [0] * n
-        self.parent, self.lacks, self.made = [-1], [-1], [-1]
-        self.live = bytearray(n)
+        self.sizes = [len(s) for s in self.label]
+        self.left, self.right, self.born = [-1] * n, [-1] * n, [-1] * n
+        self.n, self.forks = n, {}
         self.table: dict[int, bool] = {}
-        self.n = n
-        self.live_ids: dict[bytes, int] = {}
-        for s, i in vocab.items():
-            if len(s) == 1:
-                self._add(i)
+        self.live_ids = {s: i for s, i in vocab.items() if len(s) == 1}
         for k, (u, v) in enumerate(merges):
             self._gadget(k, vocab[u], vocab[v], vocab[u + v])
-        self.longest = max(map(len, self.live_ids), default=1)
+        # every beginning of a label, with the label it is (-1 if none), to find what may begin at a place
+        self.begins: dict[bytes, int] = {}
+        for s, i in self.live_ids.items():
+            for e in range(1, len(s)):
+                self.begins.setdefault(s[:e], -1)
+            self.begins[s] = i
 
-    def _add(self, label: int) -> None:
-        self.live[label] = 1
-        self.live_ids[self.label[label]] = label
+    @property
+    def states(self) -> int:
+        return 1 + len(self.forks)
 
     def _gadget(self, k: int, u: int, v: int, w: int) -> None:
-        behind = self.target[u]
-        if not (self.live[u] and self.live[v]) or self.live[w] or not self._arc(behind, v):
+        """Fork the state behind u without the arc v, and add the arc w."""
+        if self.label[u] not in self.live_ids or self.label[v] not in self.live_ids or self.label[w] in self.live_ids:
             raise ValueError(f"merge {k} does not follow from those before it")
-        self.left[w], self.born[w], self.target[w] = u, k, self.target[v]
-        self._add(w)
-        self.parent.append(behind)
-        self.lacks.append(v)
-        self.made.append(k)
-        self.target[u] = len(self.parent) - 1
-
-    def _arc(self, state: int, label: int) -> bool:
-        """Whether the state has an arc with this label."""
-        asked = []
+        self.left[w], self.right[w], self.born[w] = u, v, k
+        self.live_ids[self.label[w]] = w
+        self.forks[u * self.n + v] = k
+
+    def _arc(self, last: int, label: int) -> bool:
+        """Whether the state behind a label has an arc, by the forks and labels that made it so."""
+        forks, born, n = self.forks, self.born, self.n
+        a, t, time = last, label, len(forks)
         while True:
-            key = state * self.n + label
-            if (known := self.table.get(key)) is not None:
-                break
-            asked.append(key)
-            if label == self.lacks[state]:
-                known = False
+            k = forks.get(a * n + t)
+            if k is not None and k < time:
+                known = False  # a fork behind a, made by then, lacks it
                 break
-            if state and self.made[state] > self.born[label]:
-                state = self.parent[state]  # the label is older than the fork: as its origin had it
-            elif self.left[label] < 0:
+            if born[t] >= max(born[a], 0):
+                time, t = born[t] + 1, self.left[t]  # the arc came later: it is where its first part's was by then
+            elif born[a] >= 0:
+                time, a = born[a], self.right[a]  # the state was the one behind the second part
+            else:
                 known = True
                 break
-            else:
-                label = self.left[label]  # the label came later: it stands where its first part does
-        if len(self.table) > 4_000_000:
+        if len(self.table) > TABLE:
             self.table.clear()
-        for key in asked:
-            self.table[key] = known
+        self.table[last * n + label] = known
         return known
 
+    def _options(self, word: bytes, at: int) -> list[int]:
+        """Labels that spell the word from a place on, shortest first."""
+        begins, out = self.begins, []
+        for e in range(at + 1, len(word) + 1):
+            label = begins.get(word[at:e])
+            if label is None:
+                break
+            if label >= 0:
+                out.append(label)
+        return out
+
     def encode(self, word: bytes) -> tuple[int, ...]:
         """The one accepted token sequence that spells the word."""
         if (whole := self.live_ids.get(word)) is not None:
             return (whole,)
-        n, get = len(word), self.live_ids.get
-        path: list[int] = []
-        ends, states = [0], [0]
-        tries = [min(self.longest, n)]
-        dead: set[tuple[int, int]] = set()
-        while ends[-1] < n:
-            at, state = ends[-1], states[-1]
-            size = min(tries[-1], n - at)
-            while size:
-                label = get(word[at : at + size])
-                size -= 1
-                if label is not None and self._arc(state, label) and (at + size + 1, self.target[label]) not in dead:
+        n, table, sizes, width = len(word), self.table, self.sizes, self.n
+        options: dict[int, list[int]] = {}
+        path: list[tuple[int, int, int]] = []  # (place, option taken, label)
+        at, last, dead = 0, -1, set()
+        i = None
+        while at < n:
+            if (here := options.get(at)) is None:
+                here = options[at] = self._options(word, at)
+            if i is None:
+                i = len(here) - 1
+            while i >= 0:
+                label = here[i]
+                if last < 0:
+                    ok = True
+                elif (ok := table.get(last * width + label)) is None:
+                    ok = self._arc(last, label)
+                if ok and (at + sizes[label], label) not in dead:
                     break
+                i -= 1
             else:
                 if not path:
                     raise ValueError(f"no arc for {word!r}")
-                dead.add((at, state))
-                ends.pop(), states.pop(), tries.pop(), path.pop()
+                dead.add((at, last))
+                at, i, _ = path.pop()
+                last = path[-1][2] if path else -1
+                i -= 1
                 continue
-            tries[-1] = size
-            path.append(label)
-            ends.append(at + size + 1)
-            states.append(self.target[label])
-            tries.append(self.longest)
-        return tuple(path)
+            path.append((at, i, label))
+            at, last, i = at + sizes[label], label, None
+        return tuple(p[2] for p in path)
 
     def decode(self, ids: list[int]) -> bytes:
         return b"".join(map(self.label.__getitem__, ids))
@@ -165,8 +177,15 @@ class ByteBpe:
     def of(cls, path: str) -> "ByteBpe":
         if path not in cls._loaded:
             cls._loaded[path] = cls(path)
+        claim(f"bpe {path}", cls._loaded[path].forget)
         return cls._loaded[path]
 
+    def forget(self) -> None:
+        """Empty the caches."""
+        self.segments.clear()
+        self.words.clear()
+        self.automaton.table.clear()
+
     def _segment(self, s: str) -> tuple[int, ...]:
         out: list[int] = []
         for w in _INNER.findall(s):

@@ -94,3 +94,14 @@ def open_fs(uri: str):
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
+
+
+_holder: list = [None, None]
+
+
+def claim(name: str, clear) -> None:
+    """Called where an operator begins in a worker: the caches that another one left there are emptied first."""
+    if _holder[0] != name:
+        if _holder[1] is not None:
+            _holder[1]()
+        _holder[:] = [name, clear]

@@ -33,14 +33,14 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from crowding.llm.common import keyed, partitions, settle, slices, table, unkey, utf8
+from crowding.llm.common import claim, keyed, partitions, settle, slices, table, unkey, utf8
 
 #: Signatures a group of cells may bring to one task, and shingles a task of the search may hold.
 SIGNED = 1_500_000
 WEIGHT = 2_000_000
 #: Rows of cluster members up to which they are broadcast to the texts.
 BROADCAST_ROWS = 150_000
-CACHE = 400_000
+CACHE = 200_000
 _M = [np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9)]
 
 
@@ -64,6 +64,7 @@ def _mix(z: np.ndarray) -> np.ndarray:
 
 def shingles(text: bytes, width: int) -> np.ndarray:
     """Sorted distinct 64-bit hashes of the text's word shingles."""
+    claim("shingles", _hashes.clear)
     words = text.lower().split()
     if not words:
         return np.zeros(0, np.uint64)

@@ -29,13 +29,13 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from crowding.llm.common import slices, table
+from crowding.llm.common import claim, slices, table
 
 SAMPLE = 20_000
 BITS = 20
 BLOCK = 1 << 14
 FEATURES = 4096
-CACHE = 300_000
+CACHE = 150_000
 OUT = ["p_grade_0", "p_grade_1", "p_grade_2", "expected_severity", "grade", "toxic"]
 _WORD = re.compile(r"[^\W\d_]+")
 
@@ -66,6 +66,7 @@ class OrdinalModel:
         if not hasattr(self, "place"):
             self.place = {int(f): i for i, f in enumerate(self.features)}
         known, place, out = self.known, self.place, set()
+        claim(f"toxicity {id(self)}", known.clear)
         if len(known) > CACHE:
             known.clear()
         for w in set(_WORD.findall(text.lower())):
