@@ -334,6 +334,12 @@ def solve(inst: Instance, k: int, seconds: float = 20, with_cluster: bool = True
         t2 = time.monotonic()
     ch = cluster_baseline(inst, k, seconds=seconds) if with_cluster else None
     t3 = time.monotonic()
+    if found is None:  # nothing near a lift was realized: end near one and crowd again, or take the baseline's
+        near = two_phase_baseline(inst, k, seconds=seconds / 4)
+        if near is not None and (ch is None or len(near) <= len(ch)):
+            found = Found(near, (), "near", 0)
+        elif ch is not None:
+            found = Found(ch, (), "clusters", 0)
     oh = len(found.edges) if found else None
     opt = oh if oh is not None and bound.mode == "complete" and oh == bound.lower_edges else None
     hi = max(bound.upper_edges, bound.lower_edges) if bound.upper_edges is not None else oh

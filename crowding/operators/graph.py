@@ -102,10 +102,10 @@ def eg_positions(demands: DataFrame) -> DataFrame:
     """Per case and prefix length r: what the r largest demands ask and may get. demands(case_id, demand)."""
     by = W.partitionBy("case_id").orderBy(F.desc("demand"))
     pos = demands.filter("demand > 0").select("case_id", "demand", F.row_number().over(by).alias("r"))
-    asked = F.sum("demand").over(W.partitionBy("case_id").orderBy("r"))
+    asked = F.sum("demand").over(W.partitionBy("case_id").orderBy("r"))  # r is unique within a case
     a = pos.withColumn("asked", asked)
     rest = a.alias("p").join(a.select(F.col("case_id").alias("c2"), F.col("demand").alias("d2"), F.col("r").alias("r2")).alias("q"), F.expr("c2 = case_id and r2 > r"), "left")
-    got = rest.groupBy("case_id", "r", "asked").agg(F.coalesce(F.sum(F.least("d2", "r")), F.lit(0)).alias("rest"))
+    got = rest.groupBy("case_id", "r", "asked").agg(F.coalesce(F.sum(F.when(F.col("d2").isNotNull(), F.least("d2", "r"))), F.lit(0)).alias("rest"))
     room = (F.col("r") * (F.col("r") - 1) + F.col("rest")).cast("long")
     return got.select("case_id", F.col("r").cast("int").alias("r"), F.col("asked").cast("long").alias("asked"), room.alias("room"), (F.col("asked") <= room).alias("ok"))
 
