@@ -21,6 +21,7 @@ import os
 import struct
 import uuid
 import zlib
+from array import array
 from collections.abc import Iterator
 
 import numpy as np
@@ -28,14 +29,16 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from crowding.llm.common import NULL_KEY, bucket_of, keyed, open_fs, partitions, range_bounds, scratch, settle, slices, table, utf8
+from crowding.llm.common import NULL_KEY, bucket_of, claim, keyed, open_fs, partitions, range_bounds, scratch, settle, slices, table, utf8
 
 MAGIC = b"TOKEF001"
 #: Every so many ones the select structure holds a place.
 SELECT = 256
 END_ID = 1
 #: Words whose ids a worker keeps.
-CACHE = 400_000
+CACHE = 1_500_000
+#: ASCII marks that may end a word.
+TRAIL = b".,;:!?)]}|*#%$"
 
 
 class EliasFano:
@@ -123,24 +126,53 @@ class WordEncoder:
         self.tok.no_padding()
         self.dtype = np.dtype("<u2" if self.tok.get_vocab_size() <= 1 << 16 else "<u4")
         self.known: dict[bytes, bytes] = {}
+        # whether upper case and words of ASCII letters are seen to go the way that the shortcuts below take
+        probe = "Abc xyzzy the WORD"
+        ids = self.tok.encode(probe.lower(), add_special_tokens=False).ids
+        self.plain = self.tok.encode(probe, add_special_tokens=False).ids == ids == [t.id for w in probe.lower().split() for t in self.tok.model.tokenize(w)]
 
     @classmethod
     def of(cls, path: str) -> "WordEncoder":
         if path not in _encoders:
             _encoders[path] = cls(path)
+        claim(f"words {path}", _encoders[path].known.clear)
         return _encoders[path]
 
+    def _learn(self, missing: set[bytes]) -> None:
+        """Ids of words; end punctuation behind a letter is a piece of its own to these tokenizers."""
+        known, cut, need = self.known, {}, set()
+        for w in missing:
+            core = w.rstrip(TRAIL)
+            if len(core) < len(w) and core and (core[-1:].isalpha() or (core[-1] > 127 and core.decode()[-1].isalpha())):
+                cut[w] = core
+                need.add(core)
+                need.add(w[len(core) :])
+            else:
+                need.add(w)
+        whole = []
+        model, dtype = self.tok.model, self.dtype
+        for w in need.difference(known):
+            if self.plain and w.isalpha() and w.islower():  # ASCII letters in lower case: neither normalizer nor splitter change them
+                known[w] = array(dtype.char, [t.id for t in model.tokenize(w.decode())]).tobytes()
+            else:
+                whole.append(w)
+        for i in range(0, len(whole), 4096):
+            part = whole[i : i + 4096]
+            for w, e in zip(part, self.tok.encode_batch_fast([w.decode() for w in part], add_special_tokens=False)):
+                known[w] = array(dtype.char, e.ids).tobytes()
+        for w, core in cut.items():
+            known[w] = known[core] + known[w[len(core) :]]
+
     def encode(self, texts: list[bytes]) -> list[bytes]:
         """Ids of each text, back to back in dtype."""
         known = self.known
         if len(known) > CACHE:
             known.clear()
-        cut = [t.split() for t in texts]
-        missing = list({w for words in cut for w in words if w not in known})
-        for i in range(0, len(missing), 4096):
-            part = missing[i : i + 4096]
-            for w, e in zip(part, self.tok.encode_batch_fast([w.decode() for w in part], add_special_tokens=False)):
-                known[w] = np.array(e.ids, self.dtype).tobytes()
+        # lower case is the tokenizer's own doing; only the strings of added tokens must keep theirs
+        cut = [(t.lower() if self.plain and b"<|" not in t else t).split() for t in texts]
+        missing = set().union(*cut).difference(known)
+        if missing:
+            self._learn(missing)
         get = known.__getitem__
         return [b"".join(map(get, words)) for words in cut]
 
@@ -151,7 +183,7 @@ def encode_documents(docs: DataFrame, tokenizer: str, end_id: int, bounds: list[
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc = WordEncoder.of(tokenizer)
         end = np.array([end_id], enc.dtype).tobytes()
-        for b in slices(batches, 256, 8 << 20):
+        for b in slices(batches, 1024, 8 << 20):
             ids = [x + end for x in enc.encode(utf8(b, "text"))]
             yield pa.RecordBatch.from_arrays([b.column("key"), pa.array(ids, pa.binary())], names=["key", "ids"])
 
