@@ -19,7 +19,7 @@ SCHEMA = "event_id long, ts timestamp, user_id long, event_type string, value do
 def as_files(events: DataFrame, files: int = 4) -> str:
     """Events as files in order of time, written one after another, as a stream reads files by their age."""
     path = scratch(events.sparkSession, "event-files")
-    rows = events.select("event_id", "ts", "user_id", "event_type", "value", "props").withColumn("at", F.unix_micros("ts"))
+    rows = events.select("event_id", "ts", "user_id", "event_type", "value", "props").withColumn("ts", F.col("ts").cast("timestamp")).withColumn("at", F.unix_micros("ts"))
     cuts = rows.agg(F.percentile_approx("at", [i / files for i in range(1, files)], 10_000)).first()[0] or []
     edges = [None, *cuts, None]
     for low, high in zip(edges, edges[1:]):
@@ -74,7 +74,7 @@ def stream_session_users(spark: SparkSession, sf: str) -> DataFrame:
 
 def stream_late_dropped(spark: SparkSession, sf: str) -> DataFrame:
     """Rows two hours late, in a file of their own at the end, leave no trace; (rows sent late, windows they are in)."""
-    ev = read(spark, sf, "events")
+    ev = read(spark, sf, "events").withColumn("ts", F.col("ts").cast("timestamp"))
     path = as_files(ev)
     top = ev.agg(F.max("ts")).first()[0]
     late = ev.orderBy(F.desc("ts")).limit(20).withColumn("event_id", F.col("event_id") + 10**9).withColumn("ts", (F.lit(top) - F.expr("INTERVAL 2 HOURS")).cast("timestamp"))
@@ -90,7 +90,7 @@ def stream_late_dropped(spark: SparkSession, sf: str) -> DataFrame:
 
 def stream_dedup(spark: SparkSession, sf: str) -> DataFrame:
     """Every event sent twice, counted once by type."""
-    ev = read(spark, sf, "events")
+    ev = read(spark, sf, "events").withColumn("ts", F.col("ts").cast("timestamp"))
     path = as_files(ev)
     ev.select(*[c.split()[0] for c in SCHEMA.split(", ")]).repartitionByRange(4, "ts").write.mode("append").parquet(path)
     once = spark.readStream.schema(SCHEMA).parquet(path).withWatermark("ts", "1 hour").dropDuplicates(["event_id", "ts"])
