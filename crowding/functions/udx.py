@@ -8,13 +8,14 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.functions import pandas_udf, udtf
 
 from crowding.core.feasibility import eg_test
 from crowding.core.lifting import enumerate_lifts, min_cost
 
 
-@pandas_udf("boolean")
+@pandas_udf(T.BooleanType())
 def eg_ok(demands: pd.Series) -> pd.Series:
     """Whether arrays of demands are realizable; null for null."""
     return demands.map(lambda d: None if d is None else eg_test(d))
@@ -28,7 +29,7 @@ def eg_ok_native(demands: str) -> Column:
     return F.when(F.size(d) == 0, F.lit(True)).otherwise((total(d) % 2 == 0) & F.forall(F.sequence(F.lit(1), F.greatest(F.size(d), F.lit(1))), row))
 
 
-@pandas_udf("long")
+@pandas_udf(T.LongType())
 def min_lift_cost_2(degree: pd.Series) -> int:
     """Grouped aggregate: minimum lift cost of a group's degrees for k = 2."""
     return min_cost(degree.value_counts().reindex(range(int(degree.max()) + 1), fill_value=0).to_numpy(), 2)
@@ -37,14 +38,14 @@ def min_lift_cost_2(degree: pd.Series) -> int:
 def min_lift_cost(k: int):
     """The same for any k."""
 
-    @pandas_udf("long")
+    @pandas_udf(T.LongType())
     def cost(degree: pd.Series) -> int:
         return min_cost(degree.value_counts().reindex(range(int(degree.max()) + 1), fill_value=0).to_numpy(), k)
 
     return cost
 
 
-@udtf(returnType="lift_id int, degree int, x int, b_after long")
+@udtf(returnType=T.StructType([*[T.StructField(c, T.IntegerType()) for c in ("lift_id", "degree", "x")], T.StructField("b_after", T.LongType())]))
 class Lifts:
     """lifts(blocks, k, cost): every lift of a cost, a row a degree."""
 
