@@ -4,13 +4,15 @@
 2. Nodes that may link are brought together. Sets of sizes a, b that reach the threshold differ in at most
    (a + b)(1 - t)/(1 + t) shingles. Per group of sizes, shingles are dealt to more cells than that, so some
    cells hold the same shingles in both, and more of them than either side may leave out: each node signs all
-   but its D emptiest cells. Nodes with a common signature are joined to a star; the components of the stars
-   are clusters, outside of which no link exists.
+   but its D emptiest cells. Nodes with a common signature are compared by size and by counts of shingles
+   per hash range, whose differences bound that of the sets from below; what may still link is an edge, and
+   the components of the edges are clusters, outside of which no link exists.
 3. Within a cluster, inverted lists over its nodes answer every node's T-occurrence query by DivideSkip:
    the L longest lists are set aside, the short ones merged through a heap with threshold T - L, and
    candidates binary-probed in the long lists. T is the overlap that the smallest partner in range needs;
    the exact test follows. Nodes known to be connected aren't probed again, as only components are asked for.
-   A cluster too heavy for one task is cut to blocks, and every pair of blocks is a task.
+   A cluster too heavy for one task is cut by size: classes as wide as linked sets may differ, two neighbouring
+   ones a window; a window still too heavy is cut to blocks, and every pair of its blocks is a task.
 4. Components of the verified links give each document the smallest doc_id it reaches.
 
 Edge cases: null or empty texts, or texts of white space, have no shingles and are components of their own; a
@@ -36,8 +38,8 @@ from pyspark.sql import functions as F
 from crowding.llm.common import claim, keyed, partitions, settle, slices, table, unkey, utf8
 
 #: Signatures a group of cells may bring to one task, and shingles a task of the search may hold.
-SIGNED = 1_500_000
-WEIGHT = 2_000_000
+SIGNED = 800_000
+WEIGHT = 1_000_000
 #: Rows of cluster members up to which they are broadcast to the texts.
 BROADCAST_ROWS = 150_000
 CACHE = 200_000
@@ -102,7 +104,7 @@ class Threshold:
         """(largest size, cells, cells left out) of the size groups up to top; the larger of two linked sets is in
         the smaller one's group or the next."""
         out, low = [], 1
-        while low <= top * 2 or len(out) < 2:
+        while not out or out[-1][0] < top or low <= self.largest(top) + 1:
             high = self.largest(low)
             differ = 2 * high * (self.den - self.num) // (self.den + self.num)
             spare = -(-(differ + 1) // 12) if differ else 0
@@ -115,15 +117,31 @@ def node_id(s: np.ndarray) -> bytes:
     return blake2b(s.tobytes(), digest_size=16).digest()
 
 
+def sketch(s: np.ndarray) -> bytes:
+    """Counts of shingles by the top bits of their hashes, 255 at most; 64 of them, or more so that about 12 or
+    fewer shingles share one, as differences of unrelated sets grow with the root of both."""
+    bits = min(16, max(6, (len(s) // 12).bit_length()))
+    return np.minimum(np.bincount((s >> np.uint64(64 - bits)).astype(np.int64), minlength=1 << bits), 255).astype(np.uint8).tobytes()
+
+
+def stacked(sketches: list[bytes], width: int) -> np.ndarray:
+    """Rows of width counts; longer sketches are folded, which can only lessen differences."""
+    out = np.empty((len(sketches), width), np.int32)
+    for i, x in enumerate(sketches):
+        a = np.frombuffer(x, np.uint8)
+        out[i] = a if len(a) == width else a.reshape(width, -1).sum(axis=1)
+    return out
+
+
 def profiles(docs: DataFrame, width: int) -> DataFrame:
-    """key, n_shingles, set_id (null without shingles)."""
+    """key, n_shingles, set_id (null without shingles), sketch."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in slices(batches):
             sets = [shingles(t, width) for t in utf8(b, "text")]
-            yield pa.RecordBatch.from_arrays([b.column("key"), pa.array([len(s) for s in sets], pa.int64()), pa.array([node_id(s) if len(s) else None for s in sets], pa.binary())], names=["key", "n_shingles", "set_id"])
+            yield pa.RecordBatch.from_arrays([b.column("key"), pa.array([len(s) for s in sets], pa.int64()), pa.array([node_id(s) if len(s) else None for s in sets], pa.binary()), pa.array([sketch(s) for s in sets], pa.binary())], names=["key", "n_shingles", "set_id", "sketch"])
 
-    return docs.mapInArrow(run, "key long, n_shingles long, set_id binary")
+    return docs.mapInArrow(run, "key long, n_shingles long, set_id binary, sketch binary")
 
 
 def signatures(sets: list[np.ndarray], limit: Threshold) -> np.ndarray:
@@ -165,18 +183,77 @@ def signatures(sets: list[np.ndarray], limit: Threshold) -> np.ndarray:
     return np.concatenate(out) if out else np.zeros((0, 2), np.uint64)
 
 
-def _stars(rows: np.ndarray) -> np.ndarray:
-    """Distinct (leader, member) of rows with the same signature."""
-    rows = rows[np.lexsort((rows[:, 1], rows[:, 0]))]
-    new = np.append(True, rows[1:, 0] != rows[:-1, 0])
-    first = np.flatnonzero(new)
-    leader = np.repeat(rows[first, 1], np.diff(np.append(first, len(rows))))
-    pairs = np.stack([leader, rows[:, 1]], axis=1)
-    return np.unique(pairs[pairs[:, 0] != pairs[:, 1]], axis=0)
+def shared(rows: np.ndarray) -> np.ndarray:
+    """Distinct rows (signature, node) of signatures with several nodes, one signature for each set of nodes."""
+    order = np.lexsort((rows[:, 1], rows[:, 0]))
+    rows = rows[order]
+    rows = rows[np.append(True, (rows[1:] != rows[:-1]).any(axis=1))]
+    first = np.flatnonzero(np.append(True, rows[1:, 0] != rows[:-1, 0]))
+    size = np.diff(np.append(first, len(rows)))
+    several = np.repeat(size > 1, size)
+    rows, size = rows[several], size[size > 1]
+    if not len(rows):
+        return rows
+    start = np.cumsum(size) - size
+    who = np.add.reduceat(_mix(rows[:, 1] ^ _M[2]), start)  # 64 bits for a set of nodes
+    _, one = np.unique(who + size.astype(np.uint64) * _M[0], return_index=True)
+    keep = np.zeros(len(size), bool)
+    keep[one] = True
+    return rows[np.repeat(keep, size)]
+
+
+def near_pairs(n: np.ndarray, sketches: list[bytes], limit: Threshold) -> np.ndarray:
+    """Places (i, j) that size and sketch do not tell apart, or a forest of them if there are many rows."""
+    order = np.argsort(n, kind="stable")
+    n, sk = n[order], stacked([sketches[i] for i in order], min(map(len, sketches)))
+    stop = np.searchsorted(n, n * limit.den // limit.num, side="right")
+    out, forest = [], Forest(len(n)) if len(n) > 64 else None
+    step = max(1, 4_000_000 // (sk.shape[1] * len(n)))
+    for i in range(0, len(n), step):
+        top = int(stop[min(i + step, len(n)) - 1])
+        if top <= i + 1:
+            continue
+        gap = np.abs(sk[i : i + step, None, :] - sk[None, i:top, :]).sum(axis=2)
+        a, b = np.nonzero(gap <= (n[i : i + step, None] + n[None, i:top]) * (limit.den - limit.num) // (limit.den + limit.num))
+        a, b = a + i, b + i
+        ok = (b > a) & (b < stop[a])
+        pairs = np.stack([a[ok], b[ok]], axis=1)
+        if forest is not None:
+            pairs = np.array([p for p in pairs.tolist() if forest.join(*p)], dtype=np.int64).reshape(-1, 2)
+        out.append(order[pairs])
+    return np.concatenate(out) if out else np.zeros((0, 2), np.int64)
+
+
+def candidate_edges(groups: DataFrame, nodes: DataFrame, limit: Threshold) -> DataFrame:
+    """(a, b) of nodes with a common signature that may link; groups: sign, node; nodes: node, n, sketch."""
+    buckets = max(partitions(groups.sparkSession), groups.count() // 50_000 + 1)
+
+    def check(pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.sort_values("sign", kind="stable")
+        sign, node, n = (pdf[c].to_numpy() for c in ("sign", "node", "n"))
+        sk = pdf["sketch"].tolist()
+        first = np.flatnonzero(np.append(True, sign[1:] != sign[:-1]))
+        size = np.diff(np.append(first, len(sign)))
+        two = first[size == 2]
+        small, large = np.minimum(n[two], n[two + 1]), np.maximum(n[two], n[two + 1])
+        gap, width = np.zeros(len(two), np.int64), np.array([min(len(sk[i]), len(sk[i + 1])) for i in two], dtype=np.int64)
+        for w in np.unique(width).tolist():
+            for at in np.array_split(np.flatnonzero(width == w), 1 + w * len(two) // 4_000_000):
+                gap[at] = np.abs(stacked([sk[i] for i in two[at]], w) - stacked([sk[i + 1] for i in two[at]], w)).sum(axis=1)
+        ok = (gap <= (small + large) * (limit.den - limit.num) // (limit.den + limit.num)) & (large <= small * limit.den // limit.num)
+        out = [np.stack([node[two[ok]], node[two[ok] + 1]], axis=1)]
+        for f, m in zip(first[size > 2].tolist(), size[size > 2].tolist()):
+            out.append(node[f : f + m][near_pairs(n[f : f + m], sk[f : f + m], limit)])
+        pairs = np.concatenate(out)
+        pairs = np.unique(np.sort(pairs[pairs[:, 0] != pairs[:, 1]], axis=1), axis=0)
+        return pd.DataFrame({"a": pairs[:, 0], "b": pairs[:, 1]})
 
+    rows = groups.join(nodes, "node").withColumn("bucket", F.pmod(F.col("sign"), F.lit(buckets)))
+    return rows.groupBy("bucket").applyInPandas(check, "a long, b long")
 
-def candidate_stars(docs: DataFrame, width: int, limit: Threshold, total: int) -> DataFrame:
-    """(a, b): stars over nodes with a common signature; total is the number of shingles of all texts."""
+
+def candidate_groups(docs: DataFrame, width: int, limit: Threshold, total: int) -> DataFrame:
+    """(sign, node) of signatures that several nodes have; total is the number of shingles of all texts."""
     spread = (limit.den - limit.num) / (limit.den + limit.num)
     dests = max(partitions(docs.sparkSession), int(total * spread * 5 / SIGNED) + 1)
 
@@ -205,10 +282,10 @@ def candidate_stars(docs: DataFrame, width: int, limit: Threshold, total: int) -
 
     def join(pdf: pd.DataFrame) -> pd.DataFrame:
         rows = np.frombuffer(b"".join(pdf["rows"]), np.uint64).reshape(-1, 2)
-        pairs = _stars(rows).astype(np.int64)
-        return pd.DataFrame({"a": pairs[:, 0], "b": pairs[:, 1]})
+        rows = shared(rows).astype(np.int64)
+        return pd.DataFrame({"sign": rows[:, 0], "node": rows[:, 1]})
 
-    return docs.mapInArrow(sign, "dest long, rows binary").groupBy("dest").applyInPandas(join, "a long, b long")
+    return docs.mapInArrow(sign, "dest long, rows binary").groupBy("dest").applyInPandas(join, "sign long, node long")
 
 
 def components(edges: DataFrame, name: str = "components") -> DataFrame:
@@ -334,13 +411,16 @@ def verified_links(docs: DataFrame, members: DataFrame, width: int, limit: Thres
     weight = members.groupBy(F.col("cluster").alias("c")).agg(F.sum("n_shingles").alias("weight"))
     total = weight.agg(F.coalesce(F.sum("weight"), F.lit(0))).first()[0]
     tasks = max(partitions(spark), int(total / WEIGHT * 4) + 1)
-    blocks = F.ceil(F.col("weight") / F.lit(WEIGHT)).cast("int")
-    dealt = members.join(weight, F.col("cluster") == F.col("c")).withColumn("blocks", blocks).withColumn("block", F.pmod(F.xxhash64("set_id"), F.col("blocks")).cast("int"))
-    i = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
-    dealt = dealt.select("key", "set_id", "cluster", "blocks", "block", i.alias("other"))
-    task = F.when(F.col("blocks") == 1, F.pmod(F.xxhash64("cluster"), F.lit(tasks))).otherwise(
-        F.xxhash64("cluster", F.least("block", "other"), F.greatest("block", "other")).bitwiseAND(F.lit(2**62 - 1)) + F.lit(tasks))
-    dealt = settle(dealt.select("key", "set_id", "cluster", task.alias("task")), "join-tasks")
+    known = members.join(weight, F.col("cluster") == F.col("c")).select("key", "set_id", "n_shingles", "cluster", "weight")
+    light = known.filter(F.col("weight") <= WEIGHT).select("key", "set_id", "cluster", F.pmod(F.xxhash64("cluster"), F.lit(tasks)).alias("task"))
+    size_class = F.floor(F.log(F.col("n_shingles").cast("double")) / F.log(F.lit(limit.den / limit.num)) + F.lit(1e-9))
+    heavy = known.filter(F.col("weight") > WEIGHT).withColumn("class", size_class)
+    heavy = heavy.withColumn("window", F.explode(F.array(F.col("class"), F.col("class") - 1)))
+    windows = heavy.groupBy(F.col("cluster").alias("c"), F.col("window").alias("w")).agg(F.ceil(F.sum("n_shingles") / F.lit(WEIGHT)).cast("int").alias("blocks"))
+    heavy = heavy.join(windows, (F.col("cluster") == F.col("c")) & (F.col("window") == F.col("w"))).withColumn("block", F.pmod(F.xxhash64("set_id"), F.col("blocks")).cast("int"))
+    heavy = heavy.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    place = F.xxhash64("cluster", "window", F.least("block", "other"), F.greatest("block", "other")).bitwiseAND(F.lit(2**62 - 1)) + F.lit(tasks)
+    dealt = settle(light.unionByName(heavy.select("key", "set_id", "cluster", place.alias("task"))), "join-tasks")
     if dealt.count() <= BROADCAST_ROWS:
         rows = docs.join(F.broadcast(dealt), "key")
     else:
@@ -368,25 +448,29 @@ def join_components(docs: DataFrame, width: int, num: int, den: int) -> DataFram
     limit = Threshold(num, den)
     prof = settle(profiles(docs, width), "join-profiles")
     total = prof.agg(F.coalesce(F.sum("n_shingles"), F.lit(0))).first()[0]
-    reps = prof.filter("n_shingles > 0").groupBy("set_id").agg(F.min("key").alias("rep"), F.first("n_shingles").alias("n"))
-    clusters = components(candidate_stars(docs, width, limit, total), "join-clusters")
+    reps = prof.filter("n_shingles > 0").groupBy("set_id").agg(F.min("key").alias("rep"), F.first("n_shingles").alias("n"), F.first("sketch").alias("sketch"))
     node = F.expr("cast(conv(concat_ws('', transform(sequence(7, 0, -1), i -> substring(hex(set_id), 2 * i + 1, 2))), 16, -10) as long)")
-    members = reps.withColumn("node", node).join(clusters, "node").select(F.col("rep").alias("key"), "set_id", F.col("n").alias("n_shingles"), F.col("root").alias("cluster"))
+    nodes = settle(reps.withColumn("node", node), "join-nodes")
+    groups = settle(candidate_groups(docs, width, limit, total), "join-groups")
+    clusters = components(candidate_edges(groups, nodes.select("node", "n", "sketch"), limit), "join-clusters")
+    members = nodes.join(clusters, "node").select(F.col("rep").alias("key"), "set_id", F.col("n").alias("n_shingles"), F.col("root").alias("cluster"))
     links = components(verified_links(docs, members, width, limit), "join-links")
-    label = reps.join(links, F.col("rep") == F.col("node"), "left").select(F.col("set_id").alias("of"), F.coalesce("root", "rep").alias("root"))
+    label = nodes.drop("node").join(links, F.col("rep") == F.col("node"), "left").select(F.col("set_id").alias("of"), F.coalesce("root", "rep").alias("root"))
     return prof.join(label, F.col("set_id") == F.col("of"), "left").select("key", "n_shingles", "set_id", F.coalesce("root", "key").alias("component"))
 
 
 def keep_one(docs: DataFrame, width: int = 5, num: int = 80, den: int = 100) -> DataFrame:
     """docs with one row of each component, its smallest doc_id; rows without shingles all stay.
 
-    Of rows that repeat that id with the same shingles, one stays.
+    Of rows that repeat that id with the same shingles, one stays. What goes is listed by id and set; few such
+    rows are broadcast, more are joined by shuffle.
     """
     from pyspark.sql import Window as W
     from pyspark.sql import types as T
 
-    got = join_components(keyed(docs), width, num, den)
-    heads = got.filter((F.col("key") == F.col("component")) & (F.col("n_shingles") > 0)).groupBy(F.col("set_id").alias("dd__s"), F.col("key").alias("dd__k")).agg(F.lit(True).alias("dd__head"))
+    got = settle(join_components(keyed(docs), width, num, den), "join-result").filter("n_shingles > 0")
+    out = got.filter("key <> component").select(F.col("key").alias("dd__k"), F.col("set_id").alias("dd__s")).distinct()
+    repeats = got.filter("key = component").groupBy("key", "set_id").count().filter("count > 1").limit(1).count()
     at = docs.columns.index("text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -394,10 +478,18 @@ def keep_one(docs: DataFrame, width: int = 5, num: int = 80, den: int = 100) ->
             sets = [shingles((t or "").encode(), width) for t in b.column(at).to_pylist()]
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array([node_id(s) if len(s) else None for s in sets], pa.binary())], names=[*b.schema.names, "dd__set"])
 
-    rows = docs.mapInArrow(run, T.StructType([*docs.schema.fields, T.StructField("dd__set", T.BinaryType())])).withColumn("dd__key", F.coalesce(F.col("doc_id").cast("long"), F.lit(-(2**63))))
-    rows = rows.join(heads, (F.col("dd__set") == F.col("dd__s")) & (F.col("dd__key") == F.col("dd__k")), "left").filter("dd__head or dd__set is null")
-    rows = rows.withColumn("dd__n", F.when(F.col("dd__set").isNotNull(), F.row_number().over(W.partitionBy("dd__set", "dd__key").orderBy("dd__key"))))
-    return rows.filter("dd__n = 1 or dd__set is null").select(*docs.columns)
+    few = out.count() <= BROADCAST_ROWS
+    rows = docs.withColumn("dd__key", F.coalesce(F.col("doc_id").cast("long"), F.lit(-(2**63))))
+    ids_twice = rows.groupBy("dd__key").count().filter("count > 1").limit(1).count()
+    if not ids_twice:  # an id is a row: no need to look at sets again
+        gone = out.select("dd__k")
+        return rows.join(F.broadcast(gone) if few else gone, F.col("dd__key") == F.col("dd__k"), "left_anti").select(*docs.columns)
+    rows = rows.mapInArrow(run, T.StructType([*rows.schema.fields, T.StructField("dd__set", T.BinaryType())]))
+    rows = rows.join(F.broadcast(out) if few else out, (F.col("dd__key") == F.col("dd__k")) & (F.col("dd__set") == F.col("dd__s")), "left_anti")
+    if repeats:
+        n = F.row_number().over(W.partitionBy("dd__set", "dd__key").orderBy("dd__key"))
+        rows = rows.withColumn("dd__n", F.when(F.col("dd__set").isNotNull(), n)).filter("dd__n = 1 or dd__set is null")
+    return rows.select(*docs.columns)
 
 
 def op7_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
