@@ -33,7 +33,7 @@ SPACE = "\\t-\\r \\x85\\xa0\\u1680\\u2000-\\u200a\\u2028\\u2029\\u202f\\u205f\\u
 _OUTER = re.compile(f" ?[^{SPACE}]+|[{SPACE}]+(?![^{SPACE}])|[{SPACE}]+")
 _INNER = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\p{L}\p{N} ]+|\s+")
 #: Segments and words a worker keeps.
-CACHE = 400_000
+CACHE = 300_000
 #: Tabulated arcs.
 TABLE = 1_000_000
 

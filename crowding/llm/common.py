@@ -121,4 +121,18 @@ def claim(name: str, clear) -> None:
     if _holder[0] != name:
         if _holder[1] is not None:
             _holder[1]()
+            _give_back()
         _holder[:] = [name, clear]
+
+
+def _give_back() -> None:
+    """Hand memory that is free again back to the system."""
+    import ctypes
+    import gc
+
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library: it keeps what it has
+        pass
