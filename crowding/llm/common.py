@@ -18,15 +18,16 @@ NULL_KEY = -(2**63)
 def scratch(spark: SparkSession, name: str) -> str:
     """A fresh path below the shared folder the session names in spark.checkpoint.dir.
 
-    Only where the setting is absent (tests, a laptop) a temporary folder is made and registered.
+    Where the setting is absent, a temporary folder is made and registered, but only if driver and executors
+    are one process (tests, a laptop); on a cluster, which could not read it, that is an error.
     """
-    root = spark.conf.get("spark.checkpoint.dir", None)
+    root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not root:
-        known = spark.sparkContext.getCheckpointDir()
-        if not known:
-            spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="crowding-"))
-            known = spark.sparkContext.getCheckpointDir()
-        root = known
+        master = spark.sparkContext.master
+        if not master.startswith("local") or master.startswith("local-cluster"):
+            raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
+        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="crowding-"))
+        root = spark.sparkContext.getCheckpointDir()
     if "://" not in root and not root.startswith("file:"):
         root = f"file://{root}"
     return f"{root.rstrip('/')}/{name}-{uuid.uuid4().hex}"
@@ -113,6 +114,14 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def unused(df: DataFrame, name: str) -> str:
+    """A column name that df does not have, whatever the case."""
+    there = {c.lower() for c in df.columns}
+    while name.lower() in there:
+        name += "_"
+    return name
+
+
 _holder: list = [None, None]
 
 

@@ -397,13 +397,62 @@ def test_poisson_mix(spark):
     assert poisson_mix.mix(empty(spark)).count() == 0 and poisson_mix.mix(odd(spark)).columns[:4] == ["doc_id", "text", "lang", "source"]
     assert poisson_mix.mix(d, {"s0": 0.0}).count() == 0
     with pytest.raises(ValueError):
-        poisson_mix.mix(d, {"s0": 1.0}, rows=10**7)
+        poisson_mix.mix(d, {"s0": -1.0})
+
+
+def plain_mix(rows, rate, seed):
+    """Copies of each id, by walking the distribution of each piece."""
+    out = {}
+    for i, src in rows:
+        pieces = max(1, math.ceil(rate[src] / poisson_mix.PIECE))
+        lam, total = rate[src] / pieces, 0
+        for j in range(pieces):
+            u = int(hashlib.md5(f"{seed}:{'null' if i is None else i}{f':p{j}' if j else ''}".encode()).hexdigest()[:8], 16)
+            p = c = math.exp(-lam)
+            k = 0
+            while math.floor(c * 2**32) <= u and k < lam + 12 * math.sqrt(lam) + 24:
+                k += 1
+                p *= lam / k
+                c += p
+            total += k
+        out[i] = total
+    return out
+
+
+def test_rates_without_limit(spark):
+    d = docs(spark, [f"t{i}" for i in range(40)]).withColumn("mix_src", F.lit("clash")).withColumn("Mix_Cuts", F.lit(1))
+    one = spark.createDataFrame([(99, "alone", "en", "single", 5), (None, "no source", None, None, 1)], DOCS).withColumn("mix_src", F.lit("x")).withColumn("Mix_Cuts", F.lit(2))
+    both = d.unionByName(one)
+    weights = {"s0": 1.0, "s1": 0.0, "single": 100.0, None: 0.5}
+    out = poisson_mix.mix(both, weights, rows=3000)
+    got = Counter(r["doc_id"] for r in out.collect())
+    rate = {s: 3000 * w / 101.5 / n for (s, w), n in zip(weights.items(), (20, 20, 1, 1))}
+    want = plain_mix([(r["doc_id"], r["source"]) for r in both.collect()], rate, 20)
+    assert got == Counter({k: v for k, v in want.items() if v}) and abs(got[99] - rate["single"]) < 300
+    assert out.columns == ["doc_id", "text", "lang", "source", "n_chars", "mix_src", "Mix_Cuts", "n_copies", "copy", "shuffle_key"]
+    many = spark.range(600_000).select(F.col("id").alias("doc_id"), F.lit("x").alias("text"), F.lit("en").alias("lang"), F.when(F.col("id") == 7, "rare").otherwise("big").alias("source"), F.lit(1).alias("n_chars"))
+    n = {r["source"]: r["count"] for r in poisson_mix.mix(many).groupBy("source").count().collect()}
+    assert 600 < n["rare"] < 960 and abs(n["big"] - 599_226) < 4000
+
+
+def test_poisson_sql_with_large_rates(spark, tmp_path):
+    import duckdb
+
+    rows = [(i, f"t{i}", "en", "a" if i else "b", 2) for i in range(20_000)] + [(None, None, None, None, None)]
+    d = spark.createDataFrame(rows, DOCS)
+    got = sorted((r["doc_id"] or -1, r["copy"], r["n_copies"], r["shuffle_key"]) for r in poisson_mix.mix(d).collect())
+    d.coalesce(1).write.parquet(f"{tmp_path}/documents.parquet")
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW documents AS SELECT * FROM '{tmp_path}/documents.parquet/*.parquet'")
+    names = [c[0] for c in con.execute(f"DESCRIBE {poisson_mix.SQL}").fetchall()]
+    want = sorted((r["doc_id"] or -1, r["copy"], r["n_copies"], r["shuffle_key"]) for r in (dict(zip(names, x)) for x in con.execute(poisson_mix.SQL).fetchall()))
+    assert got == want and sum(g[0] == -1 for g in got) > 64
 
 
 def test_poisson_salted_join_is_the_same(spark, monkeypatch):
     d = docs(spark, [f"t{i}" for i in range(300)])
     want = sorted(map(tuple, poisson_mix.mix(d).collect()))
-    monkeypatch.setattr(poisson_mix, "BROADCAST_SOURCES", 0)
+    monkeypatch.setattr(poisson_mix, "BROADCAST_CUTS", 0)
     assert sorted(map(tuple, poisson_mix.mix(d).collect())) == want
 
 
