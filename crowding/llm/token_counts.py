@@ -5,6 +5,10 @@ delete -1, a revised count is its old image with -1 beside its new image with +1
 one row per (source, lang, tokenizer) before it is stored, so the store grows with batches and keys and
 never with documents, and totals are a sum over it.
 
+The store is data folders plus numbered manifests, each naming the folders in force and the batch ids in them.
+A manifest is created only if its number is free, so of several writers one wins and the others read again;
+what a crash leaves behind is a folder that no manifest names.
+
 Edge cases: null source or lang is a group of its own; null or empty text counts 0 tokens and is still a
 document; repeated rows count as often as they occur; an empty change set commits an empty batch; columns
 other than those named are ignored. A batch id that is committed already is skipped, whatever it holds.
@@ -12,6 +16,8 @@ other than those named are ignored. A batch id that is committed already is skip
 
 from __future__ import annotations
 
+import json
+import os
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
@@ -23,6 +29,7 @@ TOKENIZERS = {
     "pieces-2": r"[A-Za-z0-9]+|[^\x20\x09-\x0DA-Za-z0-9]",
 }
 KEYS = ["source", "lang", "tokenizer"]
+SUMS = ("n_docs", "n_tokens", "n_chars")
 SCHEMA = "source string, lang string, tokenizer string, n_docs long, n_tokens long, n_chars long"
 
 
@@ -46,68 +53,138 @@ def change(rows: DataFrame, sign: int, tokenizer: str, tokens: str) -> DataFrame
 class TokenRollup:
     """A store of committed batches below one path of any Hadoop filesystem.
 
-    A batch is written to a staging folder and then renamed to its final name; the name is the commit, so a
-    replay, a retry after a crash or a second writer finds it taken and adds nothing.
+    apply() and fold() first write a data folder, then the next manifest; that is the commit. Creating a file
+    only if it is absent is atomic on HDFS (rename without overwriting) and on local and network disks (a hard
+    link); on other stores use one writer. A manifest holds every batch id in force, about 30 bytes each.
     """
 
     def __init__(self, spark: SparkSession, root: str):
         self.spark, self.root = spark, root.rstrip("/")
-        jvm = spark.sparkContext._jvm
-        self._path = jvm.org.apache.hadoop.fs.Path
-        self._fs = self._path(self.root).getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
-        self._fs.mkdirs(self._path(f"{self.root}/batches"))
-
-    def _names(self) -> list[str]:
-        return sorted(s.getPath().getName() for s in self._fs.listStatus(self._path(f"{self.root}/batches")))
+        self._jvm = spark.sparkContext._jvm
+        self._path = self._jvm.org.apache.hadoop.fs.Path
+        self._conf = spark.sparkContext._jsc.hadoopConfiguration()
+        self._fs = self._path(self.root).getFileSystem(self._conf)
+        for folder in ("manifest", "data", "staging"):
+            self._fs.mkdirs(self._path(f"{self.root}/{folder}"))
+
+    def _version(self) -> int:
+        names = [s.getPath().getName() for s in self._fs.listStatus(self._path(f"{self.root}/manifest"))]
+        return max((int(n) for n in names if n.isdigit()), default=0)
+
+    def _manifest(self, version: int) -> list[dict]:
+        """The folders in force: [{"path": ..., "ids": [...]}]."""
+        if not version:
+            return []
+        f = self._fs.open(self._path(f"{self.root}/manifest/{version:012d}"))
+        try:
+            return json.loads(self._jvm.org.apache.commons.io.IOUtils.toString(f, "UTF-8"))
+        finally:
+            f.close()
+
+    def _create(self, version: int, parts: list[dict]) -> bool:
+        """Write a manifest; False if its number is taken."""
+        stage, final = (self._path(f"{self.root}/{x}") for x in (f"staging/{uuid.uuid4().hex}", f"manifest/{version:012d}"))
+        f = self._fs.create(stage, True)
+        f.write(json.dumps(parts).encode())
+        f.close()
+        try:
+            if self._fs.getScheme() == "file":
+                os.link(stage.toUri().getPath(), final.toUri().getPath())
+            else:
+                none = self._jvm.org.apache.hadoop.fs.Options.Rename.NONE
+                options = self.spark.sparkContext._gateway.new_array(self._jvm.org.apache.hadoop.fs.Options.Rename, 1)
+                options[0] = none
+                self._jvm.org.apache.hadoop.fs.FileContext.getFileContext(final.toUri(), self._conf).rename(self._path(self._fs.makeQualified(stage).toString()), self._path(self._fs.makeQualified(final).toString()), options)
+        except FileExistsError:
+            return False
+        except Exception as e:
+            if "FileAlreadyExistsException" in str(e):
+                return False
+            raise
+        finally:
+            self._fs.delete(stage, True)
+        return True
+
+    def _write(self, changes: DataFrame) -> str:
+        path = f"data/{uuid.uuid4().hex}"
+        changes.groupBy(*KEYS).agg(*[F.sum(c).cast("long").alias(c) for c in SUMS]).write.parquet(f"{self.root}/{path}")
+        return path
 
     def committed(self) -> list[str]:
-        """Ids of the batches in force, those folded into a snapshot included."""
-        out: set[str] = set()
-        for name in self._names():
-            out.update(name.split("=", 1)[1].split(",") if name.startswith("fold=") else [name.split("=", 1)[1]])
-        return sorted(out)
+        """Ids of the batches in force, those folded included."""
+        return sorted(i for part in self._manifest(self._version()) for i in part["ids"])
 
     def apply(self, batch_id: str, changes: DataFrame) -> bool:
-        """Commit signed changes under an id; False if that id is in force already."""
+        """Commit signed changes under an id; False, and nothing added, if that id is in force already."""
         if not batch_id.replace("-", "").replace("_", "").isalnum():
             raise ValueError(f"batch id {batch_id!r} has other characters than letters, digits, - and _")
-        if batch_id in self.committed():
-            return False
-        stage = f"{self.root}/staging/{uuid.uuid4().hex}"
-        changes.groupBy(*KEYS).agg(*[F.sum(c).cast("long").alias(c) for c in ("n_docs", "n_tokens", "n_chars")]).write.parquet(stage)
-        won = self._fs.rename(self._path(stage), self._path(f"{self.root}/batches/batch={batch_id}"))
-        if not won:
-            self._fs.delete(self._path(stage), True)
-        return bool(won)
-
-    def _read(self, names: list[str]) -> DataFrame:
-        if not names:
+        path = None
+        while True:
+            version = self._version()
+            parts = self._manifest(version)
+            if any(batch_id in part["ids"] for part in parts):
+                if path is not None:
+                    self._fs.delete(self._path(f"{self.root}/{path}"), True)
+                return False
+            path = path or self._write(changes)
+            if self._create(version + 1, [*parts, {"path": path, "ids": [batch_id]}]):
+                return True
+
+    def _read(self, parts: list[dict]) -> DataFrame:
+        if not parts:
             return self.spark.createDataFrame([], SCHEMA)
-        return self.spark.read.schema(SCHEMA).parquet(*[f"{self.root}/batches/{n}" for n in names])
+        return self.spark.read.schema(SCHEMA).parquet(*[f"{self.root}/{p['path']}" for p in parts])
 
     def totals(self) -> DataFrame:
         """Current totals; keys whose documents have all been taken back are left out."""
-        return (
-            self._read(self._names()).groupBy(*KEYS)
-            .agg(*[F.sum(c).cast("long").alias(c) for c in ("n_docs", "n_tokens", "n_chars")]).filter("n_docs <> 0")
-        )
-
-    def fold(self) -> None:
-        """Replace the committed batches by one; their ids stay in force."""
-        names, ids = self._names(), self.committed()
-        if len(names) < 2:
-            return
-        stage = f"{self.root}/staging/{uuid.uuid4().hex}"
-        self._read(names).groupBy(*KEYS).agg(*[F.sum(c).cast("long").alias(c) for c in ("n_docs", "n_tokens", "n_chars")]).write.parquet(stage)
-        for n in names:
-            self._fs.delete(self._path(f"{self.root}/batches/{n}"), True)
-        self._fs.rename(self._path(stage), self._path(f"{self.root}/batches/fold={','.join(ids)}"))
+        return self._read(self._manifest(self._version())).groupBy(*KEYS).agg(*[F.sum(c).cast("long").alias(c) for c in SUMS]).filter("n_docs <> 0")
+
+    def fold(self) -> bool:
+        """Replace the committed batches by one folder; their ids stay in force. What it replaced stays until vacuum()."""
+        old = self._manifest(self._version())
+        if len(old) < 2:
+            return False
+        one = {"path": self._write(self._read(old)), "ids": sorted(i for part in old for i in part["ids"])}
+        while True:
+            version = self._version()
+            now = self._manifest(version)
+            if any(part not in now for part in old):  # another fold was first
+                self._fs.delete(self._path(f"{self.root}/{one['path']}"), True)
+                return False
+            if self._create(version + 1, [one, *[part for part in now if part not in old]]):
+                return True
+
+    def vacuum(self, older_than_s: float = 86_400) -> int:
+        """Delete data folders that the newest manifest does not name, and manifests before it, if they are that old
+        (long enough for readers of an older manifest, and for writers between folder and manifest); how many."""
+        version = self._version()
+        keep = {p["path"].rsplit("/", 1)[1] for p in self._manifest(version)} | {f"{version:012d}"}
+        limit, gone = self._jvm.java.lang.System.currentTimeMillis() - older_than_s * 1000, 0
+        for folder in ("data", "manifest", "staging"):
+            for s in self._fs.listStatus(self._path(f"{self.root}/{folder}")):
+                if s.getPath().getName() not in keep and s.getModificationTime() <= limit:
+                    gone += bool(self._fs.delete(s.getPath(), True))
+        return gone
+
+
+#: Groups of copies of at least so many rows, and of a 20,000th of all rows, are broadcast: 20,000 at most.
+HEAVY, HEAVY_GROUPS = 200, 20_000
 
 
 def later_copies(counts: DataFrame) -> DataFrame:
-    """Rows whose text already stands under a smaller doc_id; a null doc_id is never one."""
-    first = counts.groupBy(F.col("text_md5").alias("m")).agg(F.min("doc_id").alias("first_id"), F.count(F.lit(1)).alias("n")).filter("n > 1")
-    return counts.join(first, F.col("text_md5") == F.col("m")).filter("doc_id > first_id").drop("m", "first_id", "n")
+    """Rows whose text already stands under a smaller doc_id; a null doc_id is never one.
+
+    The smallest id of a large group of copies is broadcast to its rows, so that no task gets the whole group.
+    """
+    from crowding.llm.common import settle
+
+    first = settle(counts.groupBy(F.col("text_md5").alias("m")).agg(F.min("doc_id").alias("first_id"), F.count(F.lit(1)).alias("n")).filter("n > 1"), "token-first")
+    total = first.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+    large = first.filter(F.col("n") >= max(HEAVY, -(-total // HEAVY_GROUPS)))
+    small = first.join(F.broadcast(large.select("m")), "m", "left_anti")
+    later = lambda rows, side: rows.join(side, F.col("text_md5") == F.col("m")).filter("doc_id > first_id").drop("m", "first_id", "n")
+    rest = counts.join(F.broadcast(large.select(F.col("m").alias("l"))), F.col("text_md5") == F.col("l"), "left_anti")
+    return later(counts, F.broadcast(large)).unionByName(later(rest, small))
 
 
 def maintain(docs: DataFrame, rollup: TokenRollup) -> DataFrame:

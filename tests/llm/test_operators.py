@@ -49,6 +49,69 @@ def test_rollup_batches(spark):
     before = total()
     r.fold()
     assert total() == before and not r.apply("b2", one) and r.committed() == ["b1", "b2"]
+    assert r.vacuum(0) >= 3 and total() == before and r.vacuum(0) == 0
+
+
+def test_rollup_many_batches_and_folds(spark):
+    r = token_counts.TokenRollup(spark, scratch(spark, "rollup"))
+    one = spark.createDataFrame([("s", "en", "words-1", 1, 5, 9)], token_counts.SCHEMA).coalesce(1)
+    for i in range(100):
+        assert r.apply(f"batch-{i:03d}", one)
+        if i == 60:
+            assert r.fold()
+            r.vacuum(0)
+    assert r.fold() and not r.fold()
+    assert tuple(r.totals().first()) == ("s", "en", "words-1", 100, 500, 900)
+    assert len(r.committed()) == 100 and not r.apply("batch-017", one)
+    r.vacuum(0)
+    assert tuple(r.totals().first())[3:] == (100, 500, 900)
+
+
+def test_rollup_survives_crashes_and_other_writers(spark, monkeypatch):
+    root = scratch(spark, "rollup")
+    a, b = token_counts.TokenRollup(spark, root), token_counts.TokenRollup(spark, root)
+    one = spark.createDataFrame([("s", "en", "words-1", 1, 5, 9)], token_counts.SCHEMA).coalesce(1)
+    n = lambda: tuple(a.totals().first())[3:]
+    assert a.apply("x", one) and b.apply("y", one) and not a.apply("y", one) and not b.apply("x", one) and n() == (2, 10, 18)
+
+    def crash(*args):
+        raise RuntimeError("lost")
+
+    for job in (lambda: a.apply("z", one), a.fold):  # between folder and manifest
+        with monkeypatch.context() as m:
+            m.setattr(a, "_create", crash)
+            with pytest.raises(RuntimeError):
+                job()
+        assert n() == (2, 10, 18) and b.committed() == ["x", "y"]
+    # a writer that looked before another one committed the same id, or another id
+    for mine, theirs, won in (("z", "z", False), ("v", "w", True)):
+        look = a._version
+        with monkeypatch.context() as m:
+
+            def late():
+                m.undo()
+                v = look()
+                assert b.apply(theirs, one)
+                return v
+
+            m.setattr(a, "_version", late)
+            assert a.apply(mine, one) is won
+    assert n() == (5, 25, 45) and a.committed() == ["v", "w", "x", "y", "z"]
+    # two folds of the same batches: one wins
+    write = a._write
+    with monkeypatch.context() as m:
+        m.setattr(a, "_write", lambda df: (m.undo(), write(df), b.fold())[1])
+        assert a.fold() is False
+    assert n() == (5, 25, 45) and a.vacuum(0) and n() == (5, 25, 45)
+
+
+def test_later_copies_of_large_groups(spark, monkeypatch):
+    d = docs(spark, ["same text"] * 30 + ["other"] * 3 + [f"t{i}" for i in range(20)] + [None, ""])
+    c = token_counts.count_tokens(d)
+    want = [*range(1, 30), 31, 32, 54]
+    assert sorted(r["doc_id"] for r in token_counts.later_copies(c).collect()) == want
+    monkeypatch.setattr(token_counts, "HEAVY", 5)
+    assert sorted(r["doc_id"] for r in token_counts.later_copies(c).collect()) == want
 
 
 def test_rollup_odd_rows(spark):
