@@ -1,18 +1,25 @@
-"""BPE by a deterministic automaton over tokens, built from the merges one gadget at a time.
+"""BPE by a deterministic automaton over tokens, compiled from the merges one gadget at a time.
 
 The automaton reads tokens; what it accepts are exactly the token sequences that applying the merges in
 order would leave. It starts as one state on which every byte loops. The gadget of a merge (u, v) -> w forks
 the state behind u: the fork lacks the arc v, and all u-arcs lead to it from then on; and wherever an arc u
-leads on to an arc v, an arc w is added to where v leads. So all arcs of a label end in one state, and a state
-is told by a label and a time: the state behind w is at first the one behind v, and what was forked from it
-before. Forks are kept by (u, v) with their number; the arcs follow, and are tabulated when first asked for.
+leads on to an arc v, an arc w is added to where v leads. So all arcs of a label end in one state, which at
+first has the arcs of the state behind v. A merge whose arc is not there any more, as earlier merges always take its parts
+away, adds nothing, and its token is never given out.
 
-Encoding a pre-split word walks arcs whose labels spell it; the accepted sequence is unique, so a walk that
-gets stuck backs up and what failed from a place and state isn't tried again. Decoding emits arc labels.
+The arcs w of all states are those u had when the merge was compiled. So if labels are numbered in preorder, a
+label before those that begin with it and the later made of these first, what a fork takes away is a range of
+numbers, and the arcs of a state are a row of ranges. Rows that are equal in the end are one state.
+
+Encoding a pre-split word follows the table: the automaton accepts one sequence that spells a prefix of the word,
+hence at every place one last token, the one whose arc leaves the state behind the token that ends where it
+begins. A place is settled once, when a token behind it asks, and no sequence is tried and given up.
+Decoding emits arc labels.
 
 Edge cases: a null text is empty, an empty text has no ids and decodes to itself; the text of an added
 token becomes its id, as in the library; texts and words of any length are whole; repeated rows give equal
-results; an empty table stays empty; columns other than those named are ignored.
+results; an empty table stays empty; columns other than those named are ignored. Merge lists may hold merges
+that can never be applied, and several that make the same token; one that needs a token made only later is refused.
 """
 
 from __future__ import annotations
@@ -20,22 +27,25 @@ from __future__ import annotations
 import hashlib
 import json
 import re
+from array import array
+from bisect import bisect_left, bisect_right
 from collections.abc import Iterator
 
 import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import types as T
 
-from crowding.llm.common import claim, slices, table, utf8
+from crowding.llm.common import Bounded, claim, slices, table, utf8
 
 #: White space, and the pattern that splits the rest of a text into words.
 SPACE = "\\t-\\r \\x85\\xa0\\u1680\\u2000-\\u200a\\u2028\\u2029\\u202f\\u205f\\u3000"
 _OUTER = re.compile(f" ?[^{SPACE}]+|[{SPACE}]+(?![^{SPACE}])|[{SPACE}]+")
 _INNER = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\p{L}\p{N} ]+|\s+")
-#: Segments and words a worker keeps.
-CACHE = 300_000
-#: Tabulated arcs.
-TABLE = 1_000_000
+#: Bytes of segments and words with their ids that a worker keeps.
+CACHE = 128 << 20
+#: Every so many bytes of a word, its prefix is settled before what comes behind.
+_STRIDE = 128
 
 
 def byte_letters() -> dict[str, int]:
@@ -45,106 +55,152 @@ def byte_letters() -> dict[str, int]:
     return {**{chr(b): b for b in plain}, **{chr(256 + i): b for i, b in enumerate(rest)}}
 
 
+def merged(word: bytes, ranks: dict[tuple[bytes, bytes], int]) -> tuple[bytes, bytes] | None:
+    """The merge that makes the word one token, or None if its merges do not; by applying them in order."""
+    parts, last = [word[i : i + 1] for i in range(len(word))], None
+    while len(parts) > 1:
+        rank, last = min((ranks.get(p, len(ranks)), p) for p in zip(parts, parts[1:]))
+        if rank == len(ranks):
+            return None
+        out: list[bytes] = []
+        for p in parts:
+            # a part made by this very merge is longer than its first half, so it is never taken for one
+            if out and (out[-1], p) == last:
+                out[-1] += p
+            else:
+                out.append(p)
+        parts = out
+    return last
+
+
 class Automaton:
-    """The token automaton of a merge list over byte strings."""
+    """The token automaton of a merge list over byte strings: states as rows of arc ranges, one state behind each label."""
 
     def __init__(self, vocab: dict[bytes, int], merges: list[tuple[bytes, bytes]]):
-        n = max(vocab.values()) + 1
+        n = max(vocab.values(), default=-1) + 1
         self.label: list[bytes] = [b""] * n
         for s, i in vocab.items():
             self.label[i] = s
-        self.sizes = [len(s) for s in self.label]
-        self.left, self.right, self.born = [-1] * n, [-1] * n, [-1] * n
-        self.n, self.forks = n, {}
-        self.table: dict[int, bool] = {}
-        self.live_ids = {s: i for s, i in vocab.items() if len(s) == 1}
+        made: dict[bytes, list[int]] = {}
         for k, (u, v) in enumerate(merges):
-            self._gadget(k, vocab[u], vocab[v], vocab[u + v])
-        # every beginning of a label, with the label it is (-1 if none), to find what may begin at a place
-        self.begins: dict[bytes, int] = {}
-        for s, i in self.live_ids.items():
-            for e in range(1, len(s)):
-                self.begins.setdefault(s[:e], -1)
-            self.begins[s] = i
+            made.setdefault(u + v, []).append(k)
+        ranks = {p: k for k, p in reversed(list(enumerate(merges)))}
+        use = set(range(len(merges)))
+        for s, ks in made.items():
+            if len(ks) > 1:  # of several merges to one token, the one that makes it
+                use.difference_update(ks)
+                if (pair := merged(s, ranks)) is not None:
+                    use.add(ranks[pair])
+        gadgets = [(k, vocab[u], vocab[v], vocab[u + v]) for k, (u, v) in enumerate(merges) if k in use]
+        singles = [i for s, i in vocab.items() if len(s) == 1]
+        self._number(n, singles, gadgets)
+        kind = "H" if self._numbers < 1 << 16 else "I"
+        rows: list[array | None] = [None] * n
+        for i in singles:
+            rows[i] = array(kind, [0, self._numbers])
+        when = {w: k for k, _, _, w in gadgets}
+        for k, u, v, w in gadgets:
+            if max(when.get(u, -1), when.get(v, -1)) > k:
+                raise ValueError(f"merge {k} does not follow from those before it")
+            self._gadget(rows, k, u, v, w)
+        # equal rows are one state; state 0 is the start, behind which every live label goes on
+        known: dict[bytes | None, int] = {None: 0}
+        numbers = list(range(self._numbers + 1))  # one object a number, however often it occurs
+        self.arcs, self.first, self.behind = [0, self._numbers], [0, 2], [-1] * n
+        for i, row in enumerate(rows):
+            if row is None:
+                continue
+            state = known.setdefault(row.tobytes(), len(known))
+            if state == len(self.first) - 1:
+                self.arcs += map(numbers.__getitem__, row)
+                self.first.append(len(self.arcs))
+            self.behind[i] = state
+        self.row = [(self.first[x], self.first[x + 1]) if x >= 0 else (0, 0) for x in self.behind]
+        self.live = {self.label[i]: i for i in range(n) if rows[i] is not None}
+        # every end of a live label, with the label it is (-1 if none), to find what may end at a place
+        self.ends: dict[bytes, int] = {}
+        for s in self.live:
+            for e in range(len(s) - 1, 0, -1):
+                if s[e:] not in self.ends:
+                    self.ends[s[e:]] = -1
+        self.ends.update(self.live)
+
+    def _number(self, n: int, singles: list[int], gadgets: list[tuple[int, int, int, int]]) -> None:
+        """Number labels in preorder of the tree in which a token hangs below its first half, latest ones first."""
+        self._below: list[list[tuple[int, int]]] = [[] for _ in range(n)]  # (merge, token), in order of merges
+        for k, u, _, w in gadgets:
+            self._below[u].append((k, w))
+        self.number, order, stack = [-1] * n, [], list(reversed(singles))
+        while stack:
+            x = stack.pop()
+            self.number[x] = len(order)
+            order.append(x)
+            stack += [w for _, w in self._below[x]]
+        self._numbers = len(order)
+        self._span = [1] * n
+        for x in reversed(order):
+            self._span[x] += sum(self._span[w] for _, w in self._below[x])
+
+    def _gadget(self, rows: list, k: int, u: int, v: int, w: int) -> None:
+        """Fork the state behind u without the arc v and what is made from it later, and begin the state behind w."""
+        row, low = rows[u], self.number[v]
+        if row is None or rows[v] is None or not bisect_right(row, low) & 1:
+            return  # no accepted sequence has v behind u by now
+        rows[w] = rows[v][:]
+        high = low + 1
+        for born, token in reversed(self._below[v]):
+            if born < k:
+                break
+            high += self._span[token]
+        a, b = bisect_left(row, low), bisect_right(row, high)
+        rows[u] = row[:a] + array(row.typecode, [low] * (a & 1) + [high] * (b & 1)) + row[b:]
 
     @property
     def states(self) -> int:
-        return 1 + len(self.forks)
-
-    def _gadget(self, k: int, u: int, v: int, w: int) -> None:
-        """Fork the state behind u without the arc v, and add the arc w."""
-        if self.label[u] not in self.live_ids or self.label[v] not in self.live_ids or self.label[w] in self.live_ids:
-            raise ValueError(f"merge {k} does not follow from those before it")
-        self.left[w], self.right[w], self.born[w] = u, v, k
-        self.live_ids[self.label[w]] = w
-        self.forks[u * self.n + v] = k
-
-    def _arc(self, last: int, label: int) -> bool:
-        """Whether the state behind a label has an arc, by the forks and labels that made it so."""
-        forks, born, n = self.forks, self.born, self.n
-        a, t, time = last, label, len(forks)
-        while True:
-            k = forks.get(a * n + t)
-            if k is not None and k < time:
-                known = False  # a fork behind a, made by then, lacks it
-                break
-            if born[t] >= max(born[a], 0):
-                time, t = born[t] + 1, self.left[t]  # the arc came later: it is where its first part's was by then
-            elif born[a] >= 0:
-                time, a = born[a], self.right[a]  # the state was the one behind the second part
-            else:
-                known = True
-                break
-        if len(self.table) > TABLE:
-            self.table.clear()
-        self.table[last * n + label] = known
-        return known
-
-    def _options(self, word: bytes, at: int) -> list[int]:
-        """Labels that spell the word from a place on, shortest first."""
-        begins, out = self.begins, []
-        for e in range(at + 1, len(word) + 1):
-            label = begins.get(word[at:e])
-            if label is None:
-                break
-            if label >= 0:
-                out.append(label)
-        return out
+        return len(self.first) - 1
+
+    def step(self, state: int, label: int) -> int:
+        """The state that an arc leads to, or -1 if there is no such arc."""
+        low = self.first[state]
+        return self.behind[label] if (bisect_right(self.arcs, self.number[label], low, self.first[state + 1]) - low) & 1 else -1
 
     def encode(self, word: bytes) -> tuple[int, ...]:
         """The one accepted token sequence that spells the word."""
-        if (whole := self.live_ids.get(word)) is not None:
+        if (whole := self.live.get(word)) is not None:
             return (whole,)
-        n, table, sizes, width = len(word), self.table, self.sizes, self.n
-        options: dict[int, list[int]] = {}
-        path: list[tuple[int, int, int]] = []  # (place, option taken, label)
-        at, last, dead = 0, -1, set()
-        i = None
-        while at < n:
-            if (here := options.get(at)) is None:
-                here = options[at] = self._options(word, at)
-            if i is None:
-                i = len(here) - 1
-            while i >= 0:
-                label = here[i]
-                if last < 0:
-                    ok = True
-                elif (ok := table.get(last * width + label)) is None:
-                    ok = self._arc(last, label)
-                if ok and (at + sizes[label], label) not in dead:
-                    break
-                i -= 1
-            else:
-                if not path:
-                    raise ValueError(f"no arc for {word!r}")
-                dead.add((at, last))
-                at, i, _ = path.pop()
-                last = path[-1][2] if path else -1
-                i -= 1
-                continue
-            path.append((at, i, label))
-            at, last, i = at + sizes[label], label, None
-        return tuple(p[2] for p in path)
+        n, ends, arcs, number, row = len(word), self.ends, self.arcs, self.number, self.row
+        last = [-2] * (n + 1)  # the token that ends at a place; -2: not asked for yet, -1: none, as a byte is no token
+
+        def settle(end: int) -> int:
+            """The last token of the sequence that spells word[:end]."""
+            found, at = [], end - 1
+            while at >= 0 and (label := ends.get(word[at:end])) is not None:
+                if label >= 0:
+                    found.append((at, label))
+                at -= 1
+            for at, label in reversed(found):
+                if at:
+                    before = last[at]
+                    if before < 0 and (before == -1 or (before := settle(at)) < 0):
+                        continue
+                    low, high = row[before]
+                    if not bisect_right(arcs, number[label], low, high) - low & 1:
+                        continue
+                last[end] = label
+                return label
+            last[end] = -1
+            return -1
+
+        for at in range(_STRIDE, n, _STRIDE):  # so that no question goes far back
+            settle(at)
+        settle(n)
+        out, at = [], n
+        while at:
+            if (label := last[at]) < 0:
+                raise ValueError(f"no token sequence spells {word!r}")
+            out.append(label)
+            at -= len(self.label[label])
+        return tuple(reversed(out))
 
     def decode(self, ids: list[int]) -> bytes:
         return b"".join(map(self.label.__getitem__, ids))
@@ -153,9 +209,9 @@ class Automaton:
 class ByteBpe:
     """Encoder and decoder of a byte-level BPE file: added tokens, word splitting, automaton, caches."""
 
-    _loaded: dict[str, "ByteBpe"] = {}
+    _loaded: dict[tuple[str, int], "ByteBpe"] = {}
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, cache: int = CACHE):
         with open(path, encoding="utf-8") as f:
             spec = json.load(f)
         letters = byte_letters()
@@ -170,45 +226,42 @@ class ByteBpe:
             self.label[i] = s.encode()
         self.digits = [str(i) for i in range(top + 1)]
         self.split_added = re.compile("|".join(re.escape(s) for s in sorted(self.added, key=len, reverse=True))) if self.added else None
-        self.segments: dict[str, tuple[int, ...]] = {}
-        self.words: dict[str, tuple[int, ...]] = {}
+        self.segments, self.words = Bounded(2 * cache // 3), Bounded(cache // 3)
 
     @classmethod
-    def of(cls, path: str) -> "ByteBpe":
-        if path not in cls._loaded:
-            cls._loaded[path] = cls(path)
-        claim(f"bpe {path}", cls._loaded[path].forget)
-        return cls._loaded[path]
-
-    def forget(self) -> None:
-        """Empty the caches."""
-        self.segments.clear()
-        self.words.clear()
-        self.automaton.table.clear()
+    def of(cls, path: str, cache: int = CACHE) -> "ByteBpe":
+        claim(f"bpe {path} {cache}", cls._loaded.clear)
+        if (path, cache) not in cls._loaded:
+            cls._loaded[path, cache] = cls(path, cache)
+        return cls._loaded[path, cache]
+
+    def _word(self, w: str) -> tuple[int, ...]:
+        ids = self.words.find(w)
+        if ids is None:
+            raw = w.encode()
+            ids = self.automaton.encode(raw)
+            if len(raw) < 64:
+                self.words.keep(w, ids, 220 + len(raw) + 8 * len(ids))
+        return ids
 
     def _segment(self, s: str) -> tuple[int, ...]:
-        out: list[int] = []
-        for w in _INNER.findall(s):
-            ids = self.words.get(w)
-            if ids is None:
-                if len(self.words) > CACHE:
-                    self.words.clear()
-                ids = self.automaton.encode(w.encode())
-                if len(w) < 64:
-                    self.words[w] = ids
-            out += ids
-        return tuple(out)
+        if s[-1] in "\t\n\r\f\v" or s.isspace():
+            return self.automaton.encode(s.encode())
+        words = _INNER.findall(s)
+        if len(words) == 1:
+            return self.automaton.encode(s.encode())
+        return tuple(i for w in words for i in self._word(w))
 
     def _plain(self, text: str, out: list[int]) -> None:
-        known = self.segments
+        known, get = self.segments, self.segments.young.get
         for s in _OUTER.findall(text):
-            ids = known.get(s)
+            ids = get(s)
             if ids is None:
-                if len(known) > CACHE:
-                    known.clear()
-                ids = self._segment(s) if s[-1] not in "\t\n\r\f\v" and not s.isspace() else self.automaton.encode(s.encode())
-                if len(s) < 64:
-                    known[s] = ids
+                ids = known.find(s)
+                if ids is None:
+                    ids = self._segment(s)
+                    if len(s) < 64:
+                        known.keep(s, ids, 220 + len(s) + 8 * len(ids))
             out += ids
 
     def encode(self, text: str) -> list[int]:
@@ -226,19 +279,17 @@ class ByteBpe:
         return b"".join(map(self.label.__getitem__, ids)).decode("utf-8", "replace")
 
 
-def encode_column(docs: DataFrame, tokenizer: str, text_col: str = "text", ids_col: str = "ids") -> DataFrame:
-    """docs with a column of ids (array of int); a column of that name is replaced."""
+def encode_column(docs: DataFrame, tokenizer: str, text_col: str = "text", ids_col: str = "ids", cache: int = CACHE) -> DataFrame:
+    """docs with a column of ids (array of int); a column of that name is replaced. cache: bytes a worker may keep."""
     docs = docs.drop(ids_col)
     at = docs.columns.index(text_col)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        bpe = ByteBpe.of(tokenizer)
+        bpe = ByteBpe.of(tokenizer, cache)
         for b in slices(batches, 256, 8 << 20):
             ids = [bpe.encode(t or "") for t in b.column(at).to_pylist()]
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(ids, pa.list_(pa.int32()))], names=[*b.schema.names, ids_col])
 
-    from pyspark.sql import types as T
-
     return docs.mapInArrow(run, T.StructType([*docs.schema.fields, T.StructField(ids_col, T.ArrayType(T.IntegerType()))]))
 
 
@@ -253,8 +304,6 @@ def decode_column(rows: DataFrame, tokenizer: str, ids_col: str = "ids", text_co
             texts = [None if i is None else bpe.decode(i) for i in b.column(at).to_pylist()]
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(texts, pa.string())], names=[*b.schema.names, text_col])
 
-    from pyspark.sql import types as T
-
     return rows.mapInArrow(run, T.StructType([*rows.schema.fields, T.StructField(text_col, T.StringType())]))
 
 

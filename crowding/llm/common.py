@@ -122,6 +122,40 @@ def unused(df: DataFrame, name: str) -> str:
     return name
 
 
+class Bounded:
+    """A cache of a worker, bounded by the bytes its entries take as told by those who fill it.
+
+    Entries are in a young half and an old one. When the young half is full it becomes the old one, and what was old
+    is dropped, but for what has been found again meanwhile.
+    """
+
+    def __init__(self, limit: int):
+        self.limit, self.held = limit // 2, 0
+        self.young: dict = {}
+        self.old: dict = {}
+
+    def find(self, key):
+        """The entry, or None. One found in the old half is young again."""
+        got = self.young.get(key)
+        if got is None and (got := self.old.get(key)) is not None:
+            self.young[key] = got
+        return got
+
+    def keep(self, key, value, size: int) -> None:
+        self.held += size
+        if self.held > self.limit:
+            # the old dictionary is emptied for reuse, so that whoever holds the young one's get still asks the young one
+            self.old = dict(self.young)
+            self.young.clear()
+            self.held = size
+        self.young[key] = value
+
+    def forget(self) -> None:
+        self.young.clear()
+        self.old = {}
+        self.held = 0
+
+
 _holder: list = [None, None]
 
 

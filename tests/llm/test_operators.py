@@ -542,21 +542,71 @@ def naive_bpe(word, ranks):
 
 
 def test_automaton_on_random_merges():
+    """Against merging by rank, also with merges that can never be applied and several to one token."""
     rng = random.Random(10)
-    for _ in range(60):
+    dead = twice = refused = 0
+    for _ in range(150):
         vocab = {bytes([c]): i for i, c in enumerate(b"abc")}
         merges = []
-        while len(merges) < 12:
+        while len(merges) < 14:
             a, b = rng.choice(list(vocab)), rng.choice(list(vocab))
-            if a + b not in vocab and (a, b) not in merges and len(naive_bpe(a + b, {m: i for i, m in enumerate(merges)})) == 2 and naive_bpe(a + b, {m: i for i, m in enumerate(merges)}) == [a, b]:
+            if rng.random() < 0.15 and len(ab := rng.choice(list(vocab))) > 2:
+                at = rng.randint(1, len(ab) - 1)
+                a, b = ab[:at], ab[at:]
+            if (a, b) not in merges and a in vocab and b in vocab:
                 merges.append((a, b))
-                vocab[a + b] = len(vocab)
-        auto = bpe_automaton.Automaton(vocab, merges)
+                vocab.setdefault(a + b, len(vocab))
         ranks = {m: i for i, m in enumerate(merges)}
+        try:
+            auto = bpe_automaton.Automaton(vocab, merges)
+        except ValueError:
+            assert len({a + b for a, b in merges}) < len(merges)
+            refused += 1
+            continue
+        dead += len(auto.live) < len(vocab)
+        twice += len({a + b for a, b in merges}) < len(merges)
         for _ in range(60):
             w = bytes(rng.choice(b"abc") for _ in range(rng.randint(1, 14)))
             assert [auto.label[i] for i in auto.encode(w)] == naive_bpe(w, ranks)
             assert auto.decode(list(auto.encode(w))) == w
+    assert dead > 20 and twice > 20 and refused < 60
+
+
+def test_automaton_accepts_what_merging_leaves():
+    """Every token sequence up to three arcs: accepted if and only if merging its text gives it back."""
+    from itertools import product
+
+    merges = [(b"a", b"b"), (b"b", b"c"), (b"a", b"bc"), (b"ab", b"ab"), (b"c", b"c"), (b"ab", b"c"), (b"a", b"a")]
+    vocab = {bytes([c]): i for i, c in enumerate(b"abc")}
+    for a, b in merges:
+        vocab.setdefault(a + b, len(vocab))
+    auto, ranks = bpe_automaton.Automaton(vocab, merges), {m: i for i, m in enumerate(merges)}
+    assert auto.encode(b"abc") == (vocab[b"abc"],) and auto.states <= 1 + len(auto.live)
+    for n in (1, 2, 3):
+        for seq in product(vocab.values(), repeat=n):
+            state = 0
+            for x in seq:
+                state = auto.step(state, x) if state >= 0 else -1
+            text = b"".join(auto.label[x] for x in seq)
+            assert (state >= 0) == (naive_bpe(text, ranks) == [auto.label[x] for x in seq])
+    short = bpe_automaton.Automaton({b"a": 0, b"b": 1, b"c": 2, b"ab": 3, b"bc": 4, b"abc": 5}, merges[:3])
+    assert short.encode(b"abc") == (3, 2) and b"abc" not in short.live
+    with pytest.raises(ValueError):
+        bpe_automaton.Automaton({b"a": 0, b"b": 1, b"ab": 2, b"abb": 3}, [(b"ab", b"b"), (b"a", b"b")])
+    with pytest.raises(ValueError):
+        short.encode(b"abx")
+
+
+def test_bounded_cache():
+    from crowding.llm.common import Bounded
+
+    c = Bounded(1000)
+    for i in range(100):
+        c.keep(i, str(i), 50)
+        assert c.find(0) == "0"  # found again and again, it stays
+        assert len(c.young) + len(c.old) <= 22
+    c.forget()
+    assert c.find(99) is None
 
 
 def test_byte_bpe_is_the_librarys(spark):
@@ -578,4 +628,15 @@ def test_byte_bpe_is_the_librarys(spark):
 def test_bpe_columns(spark):
     out = bpe_automaton.decode_column(bpe_automaton.encode_column(odd(spark), BYTE), BYTE)
     assert all(r["decoded"] == (r["text"] or "") for r in out.collect())
+    from tokenizers import Tokenizer
+
+    tok = Tokenizer.from_file(BYTE)
+    rows = [(i, t) for i, t in enumerate(["", " ", "Plain text, with marks!", "é漢🙂" * 3000, "x" * 70_000, "a b " * 40_000, "<|endoftext|> twice <|endoftext|>"])] + [(None, "no id"), (3, None), (3, "again")]
+    want = Counter()
+    for i, t in rows:
+        ids = tok.encode(t or "", add_special_tokens=False).ids
+        sha = lambda x: hashlib.sha256(x.encode()).hexdigest()
+        want[i, len(ids), sha(",".join(map(str, ids))), sha(tok.decode(ids, skip_special_tokens=False))] += 1
+    got = bpe_automaton.digests(spark.createDataFrame(rows, "doc_id long, text string").withColumn("ids", F.lit("clash")), BYTE)
+    assert Counter(map(tuple, got.collect())) == want
     assert bpe_automaton.digests(odd(spark), BYTE).count() == 7 and bpe_automaton.digests(empty(spark), BYTE).count() == 0
