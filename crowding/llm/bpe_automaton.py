@@ -36,7 +36,7 @@ import regex
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import types as T
 
-from crowding.llm.common import Bounded, claim, slices, table, utf8
+from crowding.llm.common import Bounded, claim, released, slices, table, utf8
 
 #: White space, and the pattern that splits the rest of a text into words.
 SPACE = "\\t-\\r \\x85\\xa0\\u1680\\u2000-\\u200a\\u2028\\u2029\\u202f\\u205f\\u3000"
@@ -290,7 +290,7 @@ def encode_column(docs: DataFrame, tokenizer: str, text_col: str = "text", ids_c
             ids = [bpe.encode(t or "") for t in b.column(at).to_pylist()]
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(ids, pa.list_(pa.int32()))], names=[*b.schema.names, ids_col])
 
-    return docs.mapInArrow(run, T.StructType([*docs.schema.fields, T.StructField(ids_col, T.ArrayType(T.IntegerType()))]))
+    return docs.mapInArrow(released(run), T.StructType([*docs.schema.fields, T.StructField(ids_col, T.ArrayType(T.IntegerType()))]))
 
 
 def decode_column(rows: DataFrame, tokenizer: str, ids_col: str = "ids", text_col: str = "decoded") -> DataFrame:
@@ -304,7 +304,7 @@ def decode_column(rows: DataFrame, tokenizer: str, ids_col: str = "ids", text_co
             texts = [None if i is None else bpe.decode(i) for i in b.column(at).to_pylist()]
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(texts, pa.string())], names=[*b.schema.names, text_col])
 
-    return rows.mapInArrow(run, T.StructType([*rows.schema.fields, T.StructField(text_col, T.StringType())]))
+    return rows.mapInArrow(released(run), T.StructType([*rows.schema.fields, T.StructField(text_col, T.StringType())]))
 
 
 def digests(docs: DataFrame, tokenizer: str) -> DataFrame:

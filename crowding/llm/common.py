@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
+import ctypes
+import gc
 import tempfile
 import uuid
 from collections.abc import Iterator
 from contextlib import contextmanager
+from functools import wraps
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -169,13 +172,27 @@ def claim(name: str, clear) -> None:
 
 
 def _give_back() -> None:
-    """Hand memory that is free again back to the system."""
-    import ctypes
-    import gc
-
     gc.collect()
+    release()
+
+
+def release() -> None:
+    """Hand memory that is free again back to the system, as a worker waits for its next task with what it has."""
     pa.default_memory_pool().release_unused()
     try:
         ctypes.CDLL("libc.so.6").malloc_trim(0)
     except (OSError, AttributeError):  # another C library: it keeps what it has
         pass
+
+
+def released(run):
+    """run over batches, with memory handed back when its task ends."""
+
+    @wraps(run)
+    def task(batches):
+        try:
+            yield from run(batches)
+        finally:
+            release()
+
+    return task

@@ -35,26 +35,38 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from crowding.llm.common import claim, keyed, partitions, settle, slices, table, unkey, utf8
+from crowding.llm.common import claim, keyed, partitions, release, released, settle, slices, table, unkey, utf8
 
 #: Signatures a group of cells may bring to one task, and shingles a task of the search may hold.
-SIGNED = 800_000
-WEIGHT = 1_000_000
+SIGNED = 300_000
+WEIGHT = 500_000
+#: Signatures a task of the first step holds before it hands them on, nodes a task compares, and cells of a comparison.
+HELD = 250_000
+COMPARED = 20_000
+CELLS = 1_000_000
 #: Rows of cluster members up to which they are broadcast to the texts.
 BROADCAST_ROWS = 150_000
-CACHE = 200_000
+#: Bytes of words with their hashes that a worker keeps.
+CACHE = 16 << 20
 _M = [np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9)]
 
 
 class _Hashes(dict):
+    held = 0
+
     def __missing__(self, word: bytes) -> int:
-        if len(self) > CACHE:
-            self.clear()
         h = xxhash.xxh3_64_intdigest(word)
         if len(word) < 64:
+            self.held += 200 + len(word)
+            if self.held > CACHE:
+                self.forget()
             self[word] = h
         return h
 
+    def forget(self) -> None:
+        self.clear()
+        self.held = 0
+
 
 _hashes = _Hashes()
 
@@ -66,7 +78,7 @@ def _mix(z: np.ndarray) -> np.ndarray:
 
 def shingles(text: bytes, width: int) -> np.ndarray:
     """Sorted distinct 64-bit hashes of the text's word shingles."""
-    claim("shingles", _hashes.clear)
+    claim("shingles", _hashes.forget)
     words = text.lower().split()
     if not words:
         return np.zeros(0, np.uint64)
@@ -141,7 +153,7 @@ def profiles(docs: DataFrame, width: int) -> DataFrame:
             sets = [shingles(t, width) for t in utf8(b, "text")]
             yield pa.RecordBatch.from_arrays([b.column("key"), pa.array([len(s) for s in sets], pa.int64()), pa.array([node_id(s) if len(s) else None for s in sets], pa.binary()), pa.array([sketch(s) for s in sets], pa.binary())], names=["key", "n_shingles", "set_id", "sketch"])
 
-    return docs.mapInArrow(run, "key long, n_shingles long, set_id binary, sketch binary")
+    return docs.mapInArrow(released(run), "key long, n_shingles long, set_id binary, sketch binary")
 
 
 def signatures(sets: list[np.ndarray], limit: Threshold) -> np.ndarray:
@@ -208,7 +220,7 @@ def near_pairs(n: np.ndarray, sketches: list[bytes], limit: Threshold) -> np.nda
     n, sk = n[order], stacked([sketches[i] for i in order], min(map(len, sketches)))
     stop = np.searchsorted(n, n * limit.den // limit.num, side="right")
     out, forest = [], Forest(len(n)) if len(n) > 64 else None
-    step = max(1, 4_000_000 // (sk.shape[1] * len(n)))
+    step = max(1, CELLS // (sk.shape[1] * len(n)))
     for i in range(0, len(n), step):
         top = int(stop[min(i + step, len(n)) - 1])
         if top <= i + 1:
@@ -226,7 +238,7 @@ def near_pairs(n: np.ndarray, sketches: list[bytes], limit: Threshold) -> np.nda
 
 def candidate_edges(groups: DataFrame, nodes: DataFrame, limit: Threshold) -> DataFrame:
     """(a, b) of nodes with a common signature that may link; groups: sign, node; nodes: node, n, sketch."""
-    buckets = max(partitions(groups.sparkSession), groups.count() // 50_000 + 1)
+    buckets = max(partitions(groups.sparkSession), groups.count() // COMPARED + 1)
 
     def check(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values("sign", kind="stable")
@@ -238,7 +250,7 @@ def candidate_edges(groups: DataFrame, nodes: DataFrame, limit: Threshold) -> Da
         small, large = np.minimum(n[two], n[two + 1]), np.maximum(n[two], n[two + 1])
         gap, width = np.zeros(len(two), np.int64), np.array([min(len(sk[i]), len(sk[i + 1])) for i in two], dtype=np.int64)
         for w in np.unique(width).tolist():
-            for at in np.array_split(np.flatnonzero(width == w), 1 + w * len(two) // 4_000_000):
+            for at in np.array_split(np.flatnonzero(width == w), 1 + w * len(two) // CELLS):
                 gap[at] = np.abs(stacked([sk[i] for i in two[at]], w) - stacked([sk[i + 1] for i in two[at]], w)).sum(axis=1)
         ok = (gap <= (small + large) * (limit.den - limit.num) // (limit.den + limit.num)) & (large <= small * limit.den // limit.num)
         out = [np.stack([node[two[ok]], node[two[ok] + 1]], axis=1)]
@@ -246,6 +258,7 @@ def candidate_edges(groups: DataFrame, nodes: DataFrame, limit: Threshold) -> Da
             out.append(node[f : f + m][near_pairs(n[f : f + m], sk[f : f + m], limit)])
         pairs = np.concatenate(out)
         pairs = np.unique(np.sort(pairs[pairs[:, 0] != pairs[:, 1]], axis=1), axis=0)
+        release()
         return pd.DataFrame({"a": pairs[:, 0], "b": pairs[:, 1]})
 
     rows = groups.join(nodes, "node").withColumn("bucket", F.pmod(F.col("sign"), F.lit(buckets)))
@@ -274,7 +287,7 @@ def candidate_groups(docs: DataFrame, width: int, limit: Threshold, total: int)
             if len(rows):
                 held.append(rows)
                 n += len(rows)
-            if n > 1_000_000:
+            if n > HELD:
                 yield flush()
                 held, n = [], 0
         if n:
@@ -283,9 +296,10 @@ def candidate_groups(docs: DataFrame, width: int, limit: Threshold, total: int)
     def join(pdf: pd.DataFrame) -> pd.DataFrame:
         rows = np.frombuffer(b"".join(pdf["rows"]), np.uint64).reshape(-1, 2)
         rows = shared(rows).astype(np.int64)
+        release()
         return pd.DataFrame({"sign": rows[:, 0], "node": rows[:, 1]})
 
-    return docs.mapInArrow(sign, "dest long, rows binary").groupBy("dest").applyInPandas(join, "sign long, node long")
+    return docs.mapInArrow(released(sign), "dest long, rows binary").groupBy("dest").applyInPandas(join, "sign long, node long")
 
 
 def components(edges: DataFrame, name: str = "components") -> DataFrame:
@@ -438,6 +452,7 @@ def verified_links(docs: DataFrame, members: DataFrame, width: int, limit: Thres
                     keys.append(key)
             if len(sets) > 1:
                 found += [(keys[x], keys[y]) for x, y in link_cluster(sets, limit)]
+        release()
         return pd.DataFrame(found, columns=["a", "b"]).astype("int64")
 
     return rows.select("task", "cluster", "key", "set_id", "text").groupBy("task").applyInPandas(search, "a long, b long")
@@ -484,7 +499,7 @@ def keep_one(docs: DataFrame, width: int = 5, num: int = 80, den: int = 100) ->
     if not ids_twice:  # an id is a row: no need to look at sets again
         gone = out.select("dd__k")
         return rows.join(F.broadcast(gone) if few else gone, F.col("dd__key") == F.col("dd__k"), "left_anti").select(*docs.columns)
-    rows = rows.mapInArrow(run, T.StructType([*rows.schema.fields, T.StructField("dd__set", T.BinaryType())]))
+    rows = rows.mapInArrow(released(run), T.StructType([*rows.schema.fields, T.StructField("dd__set", T.BinaryType())]))
     rows = rows.join(F.broadcast(out) if few else out, (F.col("dd__key") == F.col("dd__k")) & (F.col("dd__set") == F.col("dd__s")), "left_anti")
     if repeats:
         n = F.row_number().over(W.partitionBy("dd__set", "dd__key").orderBy("dd__key"))

@@ -29,13 +29,14 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from crowding.llm.common import claim, slices, table
+from crowding.llm.common import Bounded, claim, released, slices, table
 
 SAMPLE = 20_000
 BITS = 20
 BLOCK = 1 << 14
 FEATURES = 4096
-CACHE = 150_000
+#: Bytes of words with their features that a worker keeps.
+CACHE = 16 << 20
 OUT = ["p_grade_0", "p_grade_1", "p_grade_2", "expected_severity", "grade", "toxic"]
 _WORD = re.compile(r"[^\W\d_]+")
 
@@ -53,7 +54,7 @@ class OrdinalModel:
     features: np.ndarray
     weights: np.ndarray
     theta: np.ndarray
-    known: dict[str, tuple[int, ...]] = field(default_factory=dict, repr=False)
+    known: Bounded = field(default_factory=lambda: Bounded(CACHE), repr=False)
 
     def __getstate__(self):
         return {"features": self.features, "weights": self.weights, "theta": self.theta}
@@ -66,15 +67,13 @@ class OrdinalModel:
         if not hasattr(self, "place"):
             self.place = {int(f): i for i, f in enumerate(self.features)}
         known, place, out = self.known, self.place, set()
-        claim(f"toxicity {id(self)}", known.clear)
-        if len(known) > CACHE:
-            known.clear()
+        claim(f"toxicity {id(self)}", known.forget)
         for w in set(_WORD.findall(text.lower())):
-            got = known.get(w)
+            got = known.find(w)
             if got is None:
                 got = tuple(place[f] for f in word_features(w) if f in place)
                 if len(w) < 64:
-                    known[w] = got
+                    known.keep(w, got, 200 + 2 * len(w) + 8 * len(got))
             if got:
                 out.update(got)
         return sorted(out)
@@ -150,7 +149,7 @@ def choose_features(rows: DataFrame, top: int = FEATURES) -> tuple[np.ndarray, n
         base = int(pdf["block"].iloc[0]) * BLOCK
         return pd.DataFrame({"feature": [base + i for i in pick], "chi": chi[pick], "purity": (b[pick] / np.maximum(seen[pick], 1)), "n": b[pick]})
 
-    parts = rows.repartition(8, "doc_id").mapInArrow(count, "block long, clean long, toxic long, counts binary")
+    parts = rows.repartition(8, "doc_id").mapInArrow(released(count), "block long, clean long, toxic long, counts binary")
     found = parts.groupBy("block").applyInPandas(best, "feature long, chi double, purity double, n long").toPandas()  # 512 rows a block at most
     found = found.sort_values(["chi", "feature"], ascending=[False, True]).head(top)
     return found["feature"].to_numpy(np.int64), ((found["purity"] >= 0.9) & (found["n"] >= 10)).to_numpy()
@@ -194,7 +193,7 @@ def score(docs: DataFrame, model: OrdinalModel, text_col: str = "text") -> DataF
             yield pa.RecordBatch.from_arrays([*b.columns, *cols], names=[*b.schema.names, *OUT])
 
     kinds = [T.DoubleType()] * 4 + [T.IntegerType()] * 2
-    return docs.mapInArrow(run, T.StructType([*docs.schema.fields, *[T.StructField(n, k) for n, k in zip(OUT, kinds)]]))
+    return docs.mapInArrow(released(run), T.StructType([*docs.schema.fields, *[T.StructField(n, k) for n, k in zip(OUT, kinds)]]))
 
 
 def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
