@@ -1,30 +1,37 @@
-"""Bounds and solutions of one instance: lower bounds by refutation, upper bounds by wasting, baselines."""
+"""Bounds and solutions of one instance: lower bounds by refutation, upper bounds by wasting, baselines.
+
+How long anything may take is told by one measure, work: lifts tested, states kept, demands realized, in
+units of a few ms. It doesn't depend on the machine, so equal calls give equal rows. A time limit in seconds, as
+the reference has one, can be set beside it. Whatever ends early gives the bounds reached so far.
+"""
 
 from __future__ import annotations
 
 import time
 from collections import Counter
+from collections.abc import Iterator
 from dataclasses import dataclass, field
+from itertools import chain
 
 import numpy as np
 
 from crowding.core import feasibility as fe
 from crowding.core import realization as re_
+from crowding.core.jump import Meter, Search, passing_cost
 from crowding.core.lifting import Lift, check, enumerate_lifts, is_crowded, lifted, min_cost, min_lift, reduce_pattern
 from crowding.core.realization import Instance
 
-
-class Budget:
-    def __init__(self, seconds: float | None):
-        self.end = None if seconds is None else time.monotonic() + seconds
-
-    def over(self) -> bool:
-        return self.end is not None and time.monotonic() > self.end
+#: Units of work of a phase, for one graph and one k.
+WORK = 2000
 
 
 @dataclass
 class Bound:
-    """Lower bound in edges, the lifts that passed at its cost, and how the search ended."""
+    """Lower bound in edges, lifts that passed at its cost, more of them on demand, and how the search ended.
+
+    upper_edges is the upper end of the number problem: a lift of that cost passes the test, or is not refuted.
+    status: ok (a lift passed at the bound), limit (the work or the time ran out before).
+    """
 
     min_cost: int
     lower_edges: int
@@ -33,88 +40,121 @@ class Bound:
     status: str = "ok"
     refuted: int = 0
     mode: str = "complete"
+    more: Iterator[Lift] = field(default_factory=lambda: iter(()))
 
 
 def realizable_lower_bound(
-    inst: Instance, k: int, test: str = "graph_eg", span: str = "complete", reduce: bool = False, climb: str = "step",
-    seconds: float | None = 10, max_lifts: int = 2000, max_climb: int = 40,
+    inst: Instance, k: int, test: str = "graph_eg", span: str = "complete", reduce: bool = False, climb: str = "jump",
+    work: float | None = WORK, seconds: float | None = None,
 ) -> Bound:
     """Raise the cost, over even values, until some lift passes the test.
 
-    test: none, eg or graph_eg. climb: "step" tests every lift of a cost before the next; "jump" also keeps the
-    least cost + waste of lifts seen, an upper end of the number problem at which the climb may stop. With
-    reduce the pattern rule is applied first: it keeps the minimum cost, but drops lifts, so that on small
-    instances the bound can come out too high (mode says "reduced", and no optimum is claimed from it). A search cut short gives the largest cost known as a bound.
+    test: none, eg or graph_eg. climb: "jump" finds the least cost of lifts that pass the plain test in one search
+    over cores and their waste (see jump.py), then looks for a lift of that cost that passes; "step" tests every
+    lift of a cost before the next. The pattern rule orders the jump's search: lifts of the reduced sequence come first,
+    but only all lifts together refute a cost, so the bound is proven. With reduce, lifts of the reduced sequence are the
+    only ones; on small instances the bound can then come out too high (mode says "reduced", and no optimum is
+    claimed from it).
     """
     if test not in ("none", "eg", "graph_eg") or climb not in ("step", "jump"):
         raise ValueError("unknown test or climb")
     b = check(inst.blocks, k)
-    budget = Budget(seconds)
+    meter = Meter(work, seconds)
     mode = "reduced" if reduce else span
-    base, paid = b, np.zeros(len(b), np.int64)
-    if reduce:
-        base, paid, _ = reduce_pattern(b, k)
-    low = int(paid.sum())
-    least = min_cost(base, k) + low
+    least = min_cost(b, k)
     if least == 0:
         return Bound(0, 0, 0, [Lift((0,) * len(b))], mode=mode)
-    cost, tried, refuted, upper = least + least % 2, 0, 0, None
-    proven = cost
-    seen: dict[tuple, bool] = {}
+    first = min_lift(b, k)
+    upper = least + fe.waste_needed(fe.demand_histogram(b, first.x))
+    cost, search = least + least % 2, None
+    if climb == "jump" and test != "none" and not reduce and span == "complete":
+        search, proven = climb_by_cores(b, k, least, upper, meter)
+        cost = proven + proven % 2
+        if search is None:
+            return Bound(least, cost // 2, (max(upper, cost) + 1) // 2, [], "limit", 0, mode)
+        upper = search.cost if search.exact else upper
+    refuted = [0]
     while True:
-        found: list[Lift] = []
-        left = max_lifts - tried
-        status = "ok"
-        room = None if span == "complete" else 0
-        for lift in _until(enumerate_lifts(base, k, cost - low, span, room, limit=left + 1, over=budget.over)):
-            if lift is None:
-                status = "timeout"
-                break
-            tried += 1
-            if tried > max_lifts:
-                status = "limit"
-                break
-            if budget.over():
-                status = "timeout"
-                break
-            x = np.zeros(max(len(paid), len(lift.x)), np.int64)
-            x[: len(paid)] += paid
-            x[: len(lift.x)] += np.asarray(lift.x, np.int64)
-            x = tuple(int(v) for v in x)
-            hist = fe.demand_histogram(b, x)
-            key = tuple(sorted(hist.items()))
-            if test == "none":
-                ok = True
-            else:
-                if key not in seen:
-                    seen[key] = fe.eg_test_blocks(hist)
-                ok = seen[key]
-                if ok and test == "graph_eg" and not reduce:
-                    ok = fe.graph_eg_test(b, x, inst.members, inst.adjacent)
-            total = cost + fe.waste_needed(hist)
-            upper = total if upper is None else min(upper, total)
-            if ok:
-                found.append(Lift(x))
-            else:
-                refuted += 1
-        if found:
-            return Bound(least, proven // 2, (upper + 1) // 2 if upper is not None else None, found, status, refuted, mode)
-        if status != "ok":
-            return Bound(least, proven // 2, (upper + 1) // 2 if upper is not None else None, [], status, refuted, mode)
+        passed = _passing(inst, b, k, cost, search, test, span, reduce, meter, refuted)
+        found = next(passed, None)
+        if isinstance(found, Lift):
+            return Bound(least, cost // 2, cost // 2, [found], "ok", refuted[0], mode, passed)
+        if found is _OVER or meter.over():
+            return Bound(least, cost // 2, (max(upper, cost) + 1) // 2, [], "limit", refuted[0], mode)
         cost += 2
-        proven = cost
-        if climb == "jump" and upper is not None and cost >= upper + upper % 2 and test == "eg":
-            return Bound(least, cost // 2, (upper + 1) // 2, [], "ok", refuted, mode)
-        if cost > least + max_climb:
-            return Bound(least, proven // 2, (upper + 1) // 2 if upper is not None else None, [], "limit", refuted, mode)
 
 
-def _until(lifts):
-    """The lifts, and None where time ran out."""
-    try:
-        yield from lifts
-    except TimeoutError:
-        yield None
+def climb_by_cores(b: np.ndarray, k: int, least: int, upper: int, meter: Meter) -> tuple[Search | None, int]:
+    """(search that ended, least cost not refuted): searches with growing slack over the minimum, as a short one
+    that finds nothing is a proof up to its slack."""
+    proven, slack = least, 0
+    while True:
+        most = min(upper, least + slack)
+        got = passing_cost(b, k, most, meter)
+        if got is None:
+            return None, proven
+        if got.cost <= most or most == upper:
+            return got, min(got.cost, upper)
+        proven, slack = min(got.cost, most + 1), max(4, 4 * slack)
+
+
+_OVER = object()
+
+
+def _passing(inst: Instance, b: np.ndarray, k: int, cost: int, search: Search | None, test: str, span: str, reduce: bool, meter: Meter, refuted: list[int]) -> Iterator:
+    """Lifts of a cost that pass, each once; _OVER if the work ends before all lifts have been seen. refuted counts the others."""
+    seen: dict[tuple, bool] = {}
+    given: set[tuple] = set()
+    for x in _lifts(b, k, cost, search, span, reduce, meter):
+        if x is None or not meter.spend():
+            yield _OVER
+            return
+        if x in given:
+            continue
+        given.add(x)
+        hist = fe.demand_histogram(b, x)
+        ok = True
+        if test != "none":
+            key = tuple(sorted(hist.items()))
+            if key not in seen:
+                seen[key] = fe.eg_test_blocks(hist)
+            ok = seen[key] and (test == "eg" or fe.graph_eg_test(b, x, inst.members, inst.adjacent))
+        if ok:
+            yield Lift(x)
+        else:
+            refuted[0] += 1
+
+
+def _lifts(b: np.ndarray, k: int, cost: int, search: Search | None, span: str, reduce: bool, meter: Meter) -> Iterator[tuple[int, ...] | None]:
+    """Crossings of lifts of a cost: those that the cores lead to, those of the reduced sequence, then all; None where
+    the work ran out. Some come twice."""
+    for core in search.cores if search is not None else ():
+        if core.x is not None:
+            yield from _trimmed(re_.waste_spread(b, core.x, k, cost - core.cost), len(b))
+    base, paid, log = reduce_pattern(b, k) if reduce or span == "complete" else (b, None, [])
+    rounds = ([(base, paid)] if log or reduce else []) + ([] if reduce else [(b, np.zeros(len(b), np.int64))])
+    for blocks, done in rounds:
+        left = cost - int(done.sum())
+        if left < 0:
+            continue
+        try:
+            for lift in enumerate_lifts(blocks, k, left, span, None if span == "complete" else 0, over=lambda: not meter.spend(0.02)):
+                x = np.zeros(max(len(done), len(lift.x)), np.int64)
+                x[: len(done)] += done
+                x[: len(lift.x)] += np.asarray(lift.x, np.int64)
+                yield from _trimmed([tuple(x.tolist())], len(b))
+        except TimeoutError:
+            yield None
+            return
+
+
+def _trimmed(xs, n: int) -> Iterator[tuple[int, ...]]:
+    """Without levels above the maximum that nobody reaches, so that equal lifts are equal."""
+    for x in xs:
+        x = list(x)
+        while len(x) > n and not x[-1] and not x[-2]:
+            x.pop()
+        yield tuple(int(v) for v in x)
 
 
 @dataclass
@@ -127,33 +167,64 @@ class Found:
     wasted: int
 
 
-def upper_bound(inst: Instance, k: int, lifts: list[Lift], seconds: float | None = 20, max_waste: int = 400, max_tries: int = 60) -> Found | None:
-    """Realize one of the lifts; of those that fail, waste more units until one is realized; the smallest result."""
+def _attempt(inst: Instance, x, variants, meter: Meter):
+    if not meter.spend(len(variants) * (1 + sum(x) / 50)):
+        return None
+    return re_.realize(inst, x, variants=variants)
+
+
+def upper_bound(inst: Instance, k: int, lifts, work: float | None = WORK, seconds: float | None = None, lower: int = 0) -> Found | None:
+    """Realize one of the lifts; of those that fail, waste units until one is realized; the smallest result.
+
+    lower: a cost that no solution can beat. Waste is looked for by doubling, and from there back down by halving; a
+    later lift begins with the most waste that would still give a smaller result.
+    """
     b = inst.blocks
-    budget = Budget(seconds)
+    meter = Meter(work, seconds)
     best: Found | None = None
-    for lift in lifts[:max_tries]:
-        if best is not None and budget.over():
+    for lift in lifts:
+        if meter.over():
             break
-        got = re_.realize(inst, lift.x) if fe.eg_test_blocks(fe.demand_histogram(b, lift.x)) else None
-        if got is not None:
-            return Found(got[0], lift.x, got[1], 0) if best is None or len(got[0]) <= len(best.edges) else best
+        if not fe.eg_test_blocks(fe.demand_histogram(b, lift.x)):
+            got = None
+        elif (got := _attempt(inst, lift.x, re_.VARIANTS, meter)) is not None:
+            if best is None or len(got[0]) < len(best.edges):
+                best = Found(got[0], lift.x, got[1], 0)
+            if lift.cost <= lower:
+                return best
+            continue
         waste = max(1, re_.waste_of(lift, b))
         waste += (lift.cost + waste) % 2
-        step = 2
-        while waste <= max_waste and (best is None or lift.cost + waste < 2 * len(best.edges)):
-            options = [w for w in [re_.waste_greedy(b, lift.x, k, waste)] if w is not None]
-            if not options and waste <= 12:
-                options = list(re_.waste_dp(b, lift.x, k, waste, limit=20))
-            hit = None
-            for x in options:
-                if (hit := re_.realize(inst, x, variants=re_.VARIANTS[:3])) is not None:
-                    best = Found(hit[0], x, hit[1], waste)
-                    break
-            if hit is not None or budget.over():
+
+        def tried(units: int) -> Found | None:
+            if not units:
+                return None
+            some = list(re_.waste_spread(b, lift.x, k, units, most=2))
+            # only where no two neighbouring blocks can take it: every other way
+            for x in some or re_.waste_dp(b, lift.x, k, units, over=lambda: not meter.spend(0.02)):
+                if meter.over():
+                    return None
+                if (some or fe.eg_test_blocks(fe.demand_histogram(b, x))) and (hit := _attempt(inst, x, re_.VARIANTS[:3], meter)) is not None:
+                    return Found(hit[0], x, hit[1], units)
+            return None
+
+        limit, failed, hit = int(b.sum()) * 2, waste - 2, None
+        if best is not None:  # only what is smaller is of use
+            high = 2 * len(best.edges) - 2 - lift.cost
+            hit = tried(high) if high >= waste else None
+        else:
+            high, step = waste, 2
+            while high <= limit and not meter.over() and (hit := tried(high)) is None:
+                failed, high, step = high, high + step, 2 * step
+        while hit is not None:  # halve what is between waste that failed and waste that did not
+            best = hit
+            middle = failed + (high - failed) // 4 * 2
+            if not failed < middle < high or meter.over():
                 break
-            waste += step
-            step = min(step * 2, 16) if waste > 40 else 2
+            if (hit := tried(middle)) is None:
+                failed, hit = middle, best
+            else:
+                high = middle
     return best
 
 
@@ -186,14 +257,15 @@ def greedy_groups(degrees: np.ndarray, k: int) -> np.ndarray:
     return out
 
 
-def cluster_baseline(inst: Instance, k: int, rounds: int = 200, seconds: float | None = 60, seed: int = 0) -> set[tuple[int, int]] | None:
+def cluster_baseline(inst: Instance, k: int, rounds: int = 40, seed: int = 0) -> set[tuple[int, int]] | None:
     """Clustering baseline, only named in the reference: a reconstruction.
 
-    Group, raise every group to its top, join those that ask among themselves, give what is left to
-    non-neighbours of low degree, and repeat until the graph is crowded. Vertices that are not known only count.
+    Group, raise every group to its top, join those that ask among themselves, and give what is left to
+    non-neighbours of low degree; repeat until the graph is crowded. Those who are given an edge beyond their own
+    demand move up a block, so they are taken where the block they leave and the one they enter stay full, as long as there are such.
+    Vertices that are not known only count. If nothing else ends it, a graph known as a whole is made complete.
     """
     check(inst.blocks, k)
-    budget = Budget(seconds)
     known = {v: d for d, vs in inst.members.items() for v in vs}
     unknown = Counter({d: int(n) - len(inst.members.get(d, ())) for d, n in enumerate(inst.blocks)})
     adj = {v: set(inst.adjacent.get(v, ())) for v in known}
@@ -213,8 +285,6 @@ def cluster_baseline(inst: Instance, k: int, rounds: int = 200, seconds: float |
             now[d] += n
         if all(n == 0 or n >= k for n in now.values()):
             return out
-        if budget.over():
-            return None
         rows = sorted(deg, key=lambda v: (-deg[v], v))
         # unknown members of a block stand before its known ones, so that known ones are those that move
         order: list[tuple[int, int | None]] = []
@@ -225,37 +295,59 @@ def cluster_baseline(inst: Instance, k: int, rounds: int = 200, seconds: float |
                 order.append((d, rows[at]))
                 at += 1
         want = greedy_groups(np.array([d for d, _ in order], np.int64), k)
-        dem = {v: int(t - d) for (d, v), t in zip(order, want) if v is not None and t > d}
+        target = {v: int(t) for (_, v), t in zip(order, want) if v is not None}
+        dem = {v: t - deg[v] for v, t in target.items() if t > deg[v]}
         edges, stuck = re_.greedy_connect(dem, adj, "largest" if r == 0 else "random", seed + r)
         for u, v in edges:
             join(u, v)
-        low = sorted(deg, key=lambda v: (deg[v], v))
-        for u, need in stuck.items():
-            if r >= 3:  # lest blocks trade members for ever: first those whose move leaves and makes a full block
-                size = Counter(deg.values())
-                size.update(unknown)
-                low.sort(key=lambda v: (size[deg[v]] <= k or size[deg[v] + 1] < k, deg[v], v))
-            for v in low:
-                if not need:
+        # sizes once all demands are met, and who will be where
+        size = Counter(int(t) for t in want)
+        level: dict[int, list[int]] = {}
+        for v in sorted(target):
+            level.setdefault(target[v], []).append(v)
+
+        def given(u: int) -> int | None:
+            """A non-neighbour for u, which moves up."""
+            bad = None
+            for t in sorted(level):
+                keeps = size[t] > k or size[t] == 1
+                fills = size[t + 1] >= k - 1
+                if not (keeps and fills) and bad is not None:
+                    continue
+                for v in level[t]:
+                    if v != u and v not in adj[u] and v not in stuck:
+                        if keeps and fills:
+                            return v
+                        bad = v
+                        break
+            return bad
+
+        for u in sorted(stuck, key=lambda v: (-stuck[v], v)):
+            for _ in range(stuck[u]):
+                if (v := given(u)) is None:
                     break
-                if v != u and v not in adj[u]:
-                    join(u, v)
-                    need -= 1
-    return None
-
-
-def two_phase_baseline(inst: Instance, k: int, seconds: float | None = 20, rounds: int = 60) -> set[tuple[int, int]] | None:
+                join(u, v)
+                t = target[v]
+                level[t].remove(v)
+                level.setdefault(t + 1, []).append(v)
+                size[t] -= 1
+                size[t + 1] += 1
+                target[v] = t + 1
+    if any(unknown.values()):
+        return None
+    vs = sorted(adj)
+    return out | {(u, v) for i, u in enumerate(vs) for v in vs[i + 1 :] if v not in adj[u]}
+
+
+def two_phase_baseline(inst: Instance, k: int, rounds: int = 60) -> set[tuple[int, int]] | None:
     """The older scheme: one cheapest lift, local exchange; if stuck, end near the target and crowd again."""
     members = {d: list(vs) for d, vs in inst.members.items()}
     adj = {v: set(inst.adjacent.get(v, ())) for vs in members.values() for v in vs}
     now = Instance(np.array(inst.blocks), members, adj)
     out: set[tuple[int, int]] = set()
-    budget = Budget(seconds)
     for r in range(rounds):
         if is_crowded(now.blocks, k):
             return out
-        if budget.over():
-            return None
         x = min_lift(now.blocks, k).x
         dem = re_.choose(now, re_.decompose(now.blocks, x, "fifo"), "lowest_id" if r == 0 else "random", r)
         if dem is None:
@@ -315,50 +407,50 @@ class Row:
     status: str
     lb_mode: str
     variant: str
+    verified: bool
     edges: list[tuple[int, int]]
 
 
-def solve(inst: Instance, k: int, seconds: float = 20, with_cluster: bool = True, max_lifts: int = 2000) -> Row:
-    """Bounds, a realized solution, and the clustering baseline."""
+def solve(inst: Instance, k: int, work: float | None = WORK, seconds: float | None = None, with_cluster: bool = True) -> Row:
+    """Bounds, a realized solution, checked, and the clustering baseline; each stage with its own time."""
     t0 = time.monotonic()
-    first = min_lift(inst.blocks, k)
-    got = re_.realize(inst, first.x, variants=re_.VARIANTS[:2]) if passing_even(inst, first) else None
-    if got is not None:  # a realized cheapest lift is an optimum; nothing is left to refute
-        t1 = t2 = time.monotonic()
-        found = Found(got[0], first.x, got[1], 0)
-        bound = Bound(first.cost, first.cost // 2, first.cost // 2, [first])
-    else:
-        bound = realizable_lower_bound(inst, k, seconds=seconds / 2, max_lifts=max_lifts)
-        t1 = time.monotonic()
-        found = upper_bound(inst, k, bound.passing or _cheap_lifts(inst.blocks, k, Budget(seconds / 4)), seconds=seconds / 2)
-        t2 = time.monotonic()
-    ch = cluster_baseline(inst, k, seconds=seconds) if with_cluster else None
+    bound = realizable_lower_bound(inst, k, work=work, seconds=seconds)
+    t1 = time.monotonic()
+    lifts = chain(bound.passing, bound.more) if bound.passing else iter(_cheap_lifts(inst.blocks, k, Meter(work, seconds)))
+    found = upper_bound(inst, k, (x for x in lifts if isinstance(x, Lift)), work, seconds, 2 * bound.lower_edges)
+    if found is None:  # nothing near a lift was realized: end near one and crowd again
+        near = two_phase_baseline(inst, k)
+        found = None if near is None else Found(near, (), "near", 0)
+    t2 = time.monotonic()
+    ch = cluster_baseline(inst, k) if with_cluster else None
     t3 = time.monotonic()
-    if found is None:  # nothing near a lift was realized: end near one and crowd again, or take the baseline's
-        near = two_phase_baseline(inst, k, seconds=seconds / 4)
-        if near is not None and (ch is None or len(near) <= len(ch)):
-            found = Found(near, (), "near", 0)
-        elif ch is not None:
-            found = Found(ch, (), "clusters", 0)
+    if found is None and ch is not None:
+        found = Found(ch, (), "clusters", 0)
     oh = len(found.edges) if found else None
     opt = oh if oh is not None and bound.mode == "complete" and oh == bound.lower_edges else None
-    hi = max(bound.upper_edges, bound.lower_edges) if bound.upper_edges is not None else oh
+    hi = bound.upper_edges if bound.upper_edges is not None else oh
     return Row(
         k, inst.n, len(inst.blocks) - 1, None if ch is None else len(ch), oh, opt, bound.lower_edges, hi, round(t3 - t2, 3), round(t2 - t1, 3), round(t1 - t0, 3),
-        bound.status, bound.mode, found.variant if found else "", sorted(found.edges) if found else [],
+        bound.status, bound.mode, found.variant if found else "", found is not None and solves(inst, found.edges, k), sorted(found.edges) if found else [],
     )
 
 
-def passing_even(inst: Instance, lift: Lift) -> bool:
-    return lift.cost % 2 == 0 and re_.passing(lift, inst.blocks)
+def solves(inst: Instance, edges, k: int) -> bool:
+    """Whether edges among known vertices are new, distinct and no loops, and make the graph crowded."""
+    new = {(min(e), max(e)) for e in edges}
+    if len(new) != len(edges) or any(u == v or v in inst.adjacent.get(u, ()) for u, v in new):
+        return False
+    return is_crowded(insert(inst, new).blocks, k)
 
 
-def _cheap_lifts(blocks, k: int, budget: Budget, most: int = 20) -> list[Lift]:
+def _cheap_lifts(blocks, k: int, meter: Meter, most: int = 20) -> list[Lift]:
+    """Of cheapest lifts those that need the least waste: what there is to begin with if no lift has passed."""
     out = []
-    for lift in _until(enumerate_lifts(blocks, k, min_cost(blocks, k), "narrow", limit=400, over=budget.over)):
-        if lift is None:
-            break
-        out.append((re_.waste_of(lift, blocks), lift))
+    try:
+        for lift in enumerate_lifts(blocks, k, min_cost(blocks, k), "narrow", limit=400, over=lambda: not meter.spend(0.02)):
+            out.append((re_.waste_of(lift, blocks), lift))
+    except TimeoutError:
+        pass
     out.sort(key=lambda f: (f[0], f[1].x))
     return [lift for _, lift in out[:most]] or [min_lift(blocks, k)]
 

@@ -86,28 +86,48 @@ def dominance(cross: DataFrame) -> DataFrame:
 
 
 def sorted_demands(before: DataFrame, after: DataFrame) -> DataFrame:
-    """(graph, demand, n) of the matching in sorted order: runs of equal degree meet as intervals of positions."""
+    """(graph, demand, n) of the matching in sorted order: runs of equal degree are cut at each other's ends.
 
-    def runs(b: DataFrame, tag: str) -> DataFrame:
+    Ends of both runs, in falling order, each see the last run begun on either side, so a window over the blocks
+    does what a join of intervals would.
+    """
+
+    def ends(b: DataFrame, mine: str, other: str) -> DataFrame:
         end = F.sum("size").over(W.partitionBy("graph").orderBy("degree").rowsBetween(W.unboundedPreceding, 0))
-        return b.filter("size > 0").select("graph", F.col("degree").alias(f"{tag}_degree"), (end - F.col("size")).alias(f"{tag}_lo"), end.alias(f"{tag}_hi"))
+        return b.filter("size > 0").select("graph", end.alias("at"), F.col("degree").alias(mine), F.lit(None).cast("int").alias(other))
+
+    both = ends(before, "low", "high").unionByName(ends(after, "high", "low"))
+    cuts = both.groupBy("graph", "at").agg(F.max("low").alias("low"), F.max("high").alias("high"))
+    down = W.partitionBy("graph").orderBy(F.desc("at"))
+    seen = down.rowsBetween(W.unboundedPreceding, 0)
+    run = cuts.select(
+        "graph", F.last("low", ignorenulls=True).over(seen).alias("low"), F.last("high", ignorenulls=True).over(seen).alias("high"),
+        (F.col("at") - F.coalesce(F.lead("at").over(down), F.lit(0))).alias("n"),
+    )
+    return run.groupBy("graph", (F.col("high") - F.col("low")).alias("demand")).agg(F.sum("n").cast("long").alias("n"))
 
-    a, z = runs(before, "a"), runs(after, "z")
-    meet = a.join(z, (a["graph"] == z["graph"]) & (F.col("a_lo") < F.col("z_hi")) & (F.col("z_lo") < F.col("a_hi"))).drop(z["graph"])
-    n = F.least("a_hi", "z_hi") - F.greatest("a_lo", "z_lo")
-    return meet.groupBy("graph", (F.col("z_degree") - F.col("a_degree")).alias("demand")).agg(F.sum(n).cast("long").alias("n"))
+
+def _eg_rows(hist: DataFrame, keys: list[str]) -> DataFrame:
+    """keys, r, asked, rest of hist(keys, demand, n, r, asked), r being the number of vertices up to the row: the rest can
+    give min(r, demand) each. Demands and the r asked for are sorted together, so one window has, for every r, how
+    many demand r or more, and how much."""
+    data = hist.select(*keys, F.col("demand").cast("long").alias("at"), F.lit(0).alias("kind"), F.col("n").cast("long").alias("n"), F.lit(None).cast("long").alias("r"), F.lit(None).cast("long").alias("asked"))
+    asks = hist.select(*keys, F.col("r").cast("long").alias("at"), F.lit(1).alias("kind"), F.lit(0).cast("long").alias("n"), F.col("r").cast("long").alias("r"), F.col("asked").cast("long").alias("asked"))
+    w = W.partitionBy(*keys).orderBy(F.desc("at"), "kind").rowsBetween(W.unboundedPreceding, 0)
+    seen = data.unionByName(asks).select("*", F.sum("n").over(w).alias("many"), F.sum(F.col("n") * F.col("at")).over(w).alias("much"))
+    total = hist.groupBy(*keys).agg(F.sum(F.col("demand") * F.col("n")).cast("long").alias("total"))
+    rows = seen.filter("kind = 1").join(total, keys)
+    rest = F.when(F.col("many") > F.col("r"), F.col("r") * (F.col("many") - F.col("r")) + F.col("total") - F.col("much")).otherwise(F.col("total") - F.col("asked"))
+    return rows.select(*keys, "r", "asked", rest.alias("rest"))
 
 
 def eg_positions(demands: DataFrame) -> DataFrame:
     """Per case and prefix length r: what the r largest demands ask and may get. demands(case_id, demand)."""
     by = W.partitionBy("case_id").orderBy(F.desc("demand"))
-    pos = demands.filter("demand > 0").select("case_id", "demand", F.row_number().over(by).alias("r"))
-    asked = F.sum("demand").over(W.partitionBy("case_id").orderBy("r"))  # r is unique within a case
-    a = pos.withColumn("asked", asked)
-    rest = a.alias("p").join(a.select(F.col("case_id").alias("c2"), F.col("demand").alias("d2"), F.col("r").alias("r2")).alias("q"), F.expr("c2 = case_id and r2 > r"), "left")
-    got = rest.groupBy("case_id", "r", "asked").agg(F.coalesce(F.sum(F.when(F.col("d2").isNotNull(), F.least("d2", "r"))), F.lit(0)).alias("rest"))
+    pos = demands.filter("demand > 0").select("case_id", "demand", F.lit(1).alias("n"), F.row_number().over(by).alias("r"))
+    pos = pos.withColumn("asked", F.sum("demand").over(W.partitionBy("case_id").orderBy("r").rowsBetween(W.unboundedPreceding, 0)))
     room = (F.col("r") * (F.col("r") - 1) + F.col("rest")).cast("long")
-    return got.select("case_id", F.col("r").cast("int").alias("r"), F.col("asked").cast("long").alias("asked"), room.alias("room"), (F.col("asked") <= room).alias("ok"))
+    return _eg_rows(pos, ["case_id"]).select("case_id", F.col("r").cast("int").alias("r"), "asked", room.alias("room"), (F.col("asked") <= room).alias("ok"))
 
 
 def eg_verdict(demands: DataFrame) -> DataFrame:
@@ -121,11 +141,22 @@ def eg_blocks(hist: DataFrame) -> DataFrame:
     """One check a distinct demand of hist(graph, demand, n): graph, demand, r, asked, room, ok."""
     by = W.partitionBy("graph").orderBy(F.desc("demand")).rowsBetween(W.unboundedPreceding, 0)
     h = hist.filter("demand > 0").select("graph", "demand", "n", F.sum("n").over(by).alias("r"), F.sum(F.col("demand") * F.col("n")).over(by).alias("asked"))
-    low = h.select(F.col("graph").alias("g2"), F.col("demand").alias("d2"), F.col("n").alias("n2"))
-    rest = h.join(low, (F.col("g2") == F.col("graph")) & (F.col("d2") < F.col("demand")), "left")
-    out = rest.groupBy("graph", "demand", "r", "asked").agg(F.coalesce(F.sum(F.least("d2", "r") * F.col("n2")), F.lit(0)).alias("rest"))
     room = (F.col("r") * (F.col("r") - 1) + F.col("rest")).cast("long")
-    return out.select("graph", "demand", F.col("r").cast("long").alias("r"), F.col("asked").cast("long").alias("asked"), room.alias("room"), (F.col("asked") <= room).alias("ok"))
+    out = _eg_rows(h, ["graph"]).join(h.select("graph", "demand", "r"), ["graph", "r"])
+    return out.select("graph", "demand", F.col("r").cast("long").alias("r"), "asked", room.alias("room"), (F.col("asked") <= room).alias("ok"))
+
+
+def seq_to_blocks(sequences: DataFrame) -> DataFrame:
+    """(graph, degree, size) of sequences(graph, degrees array)."""
+    return block_sequence(sequences.select("graph", F.explode("degrees").alias("degree")))
+
+
+def blocks_to_seq(blocks: DataFrame, most: int = 10_000_000) -> DataFrame:
+    """(graph, degrees): the sorted sequence as an array; ValueError beyond `most` vertices, for which degrees() is the form."""
+    if blocks.groupBy("graph").agg(F.sum("size").alias("n")).filter(F.col("n") > most).limit(1).count():
+        raise ValueError(f"a sequence has more than {most} members")
+    runs = F.sort_array(F.collect_list(F.struct("degree", "size")))
+    return blocks.groupBy("graph").agg(F.flatten(F.transform(runs, lambda r: F.array_repeat(r["degree"], r["size"].cast("int")))).alias("degrees"))
 
 
 def representatives(deg: DataFrame, most: int) -> DataFrame:

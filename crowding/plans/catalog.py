@@ -20,4 +20,4 @@ def oracle_sql() -> dict[str, str]:
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return measures.table_lines(solver.solve_graphs(spark, {"parts": parts_together(spark, sf_dir)}, (5,), seconds=10))
+    return measures.table_lines(solver.solve_graphs(spark, {"parts": parts_together(spark, sf_dir)}, (5,)))

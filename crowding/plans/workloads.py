@@ -72,7 +72,11 @@ def supps_together(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def vec_neighbors(spark: SparkSession, sf: str, most: int = 5, block: int = 1024) -> DataFrame:
-    """Nearest neighbours by cosine, exact: blocks of vectors against blocks, and the best of every row kept."""
+    """Nearest neighbours by cosine, to 9 digits, ties by id: blocks of vectors against blocks, the best of every row kept.
+
+    Every vector meets every other one, as exact search in all directions does; this graph is an oracle for small
+    collections, not a way for large ones.
+    """
     vec = read(spark, sf, "embeddings", "vec_id", "embedding")
     n_blocks = max(1, -(-vec.count() // block))
     packed = vec.withColumn("b", F.pmod(F.xxhash64("vec_id"), F.lit(n_blocks))).groupBy("b").agg(F.collect_list(F.struct("vec_id", "embedding")).alias("rows"))
@@ -85,7 +89,7 @@ def vec_neighbors(spark: SparkSession, sf: str, most: int = 5, block: int = 1024
                 ip, iq = np.array([r["vec_id"] for r in p]), np.array([r["vec_id"] for r in q])
                 vp, vq = (np.array([r["embedding"] for r in s], dtype=np.float64) for s in (p, q))
                 vp, vq = (v / np.maximum(np.linalg.norm(v, axis=1, keepdims=True), 1e-12) for v in (vp, vq))
-                sim = vp @ vq.T
+                sim = np.round(vp @ vq.T, 9)
                 sim[ip[:, None] == iq[None, :]] = -2
                 for i, row in enumerate(sim):
                     best = np.lexsort((iq, -row))[:most]
@@ -137,31 +141,57 @@ def with_graph(name: str, rest: str, recursive: bool = False) -> str:
     )
 
 
+def grow_family(spark: SparkSession, specs: list[tuple[int, int]], seed: int = 7) -> DataFrame:
+    """edges(graph, u, v) of preferential-attachment graphs, one per (m0, t): vertex m0 + s joins m0 distinct earlier ones.
+
+    No state is shared. Draw slots are numbered; a slot's two ends are its step's new vertex and the vertex it drew, and to
+    draw is to take an end of an earlier slot (or a first vertex) by hash, so vertices are drawn in proportion to
+    their degree; drawn ends are chased back until a fixed one. What a step has drawn twice it draws again, and
+    in the end it takes first vertices. Copies refer to the first draw of a slot.
+    """
+    rows = spark.createDataFrame([(f"grow_m{m}_t{t}", m, t) for m, t in specs], "graph string, m0 long, t long")
+    steps = rows.select("graph", "m0", F.explode(F.sequence(F.lit(0).cast("long"), F.col("t") - 1)).alias("step"))
+    steps = steps.repartition("graph", F.pmod("step", F.lit(64)))
+    m0 = F.col("m0")
+    whole = lambda c: F.floor(c).cast("long")
+
+    def chase(j):
+        begin = F.struct((F.col("step") * m0 + j % m0).alias("slot"), whole(j / m0).alias("again"), (F.col("step") * m0 * 2).alias("limit"), F.lit(None).cast("long").alias("done"))
+
+        def back(s, _):
+            # in an array, lest the hash is taken for every use of the place
+            number = F.conv(F.substring(F.md5(F.concat_ws(":", F.lit(str(seed)), s["slot"].cast("string"), s["again"].cast("string"))), 1, 15), 16, 10).cast("long")
+
+            def moved(p):
+                place = p - m0
+                slot = whole(place / 2)
+                fixed = F.when(p < m0, p).when(place % 2 == 0, whole(slot / m0) + m0)
+                return F.struct(slot.alias("slot"), F.lit(0).cast("long").alias("again"), (whole(slot / m0) * m0 * 2).alias("limit"), fixed.cast("long").alias("done"))
+
+            step = F.get(F.transform(F.array(number % (s["limit"] + m0)), moved), F.lit(0))
+            return F.when(s["done"].isNotNull(), s).otherwise(step)
+
+        return F.aggregate(F.sequence(F.lit(1), F.lit(64)), begin, back, lambda s: s["done"])
+
+    drawn = F.transform(F.sequence(F.lit(0).cast("long"), 4 * m0 - 1), chase)
+    ends = F.slice(F.array_distinct(F.concat(drawn, F.sequence(F.lit(0).cast("long"), m0 - 1))), F.lit(1), m0.cast("int"))
+    return steps.select("graph", F.explode(ends).alias("u"), (F.col("step") + m0).alias("v"))
+
+
 def grow(spark: SparkSession, m0: int, t: int, seed: int = 7) -> DataFrame:
-    """Preferential attachment without shared state: edge slots are numbered, the even end of slot s is its new
-    vertex, and the odd end is a copy of a slot drawn by hash among the earlier ones, chased until a fixed end."""
-    steps = 64
-    slots = spark.range(m0 * t).select((F.col("id") / m0).cast("long").alias("step"), F.col("id").alias("slot"))
-
-    def jump(at):
-        """Position drawn below 2 * (slots before this step's), or one of the m0 first vertices as -1 - i."""
-        room = at["limit"] + m0
-        r = F.pmod(F.xxhash64(F.lit(seed), at["slot"], at["try_"]), room)
-        return r
-
-    # state: pos >= 0 is a place in the list of ends to read; done holds the vertex once known
-    start = F.struct(F.col("slot").alias("slot"), (F.col("step") * m0 * 2).alias("limit"), F.lit(0).alias("try_"), F.lit(None).cast("long").alias("done"))
-
-    def advance(s, i):
-        r = jump(s)
-        first = r < m0
-        place = r - m0
-        even = place % 2 == 0
-        vertex = F.when(first, r).when(even, (place / 2 / m0).cast("long") + m0)
-        other = F.floor(place / 2).cast("long")
-        moved = F.struct(other.alias("slot"), (F.floor(other / m0).cast("long") * m0 * 2).alias("limit"), F.lit(0).alias("try_"), vertex.cast("long").alias("done"))
-        return F.when(s["done"].isNotNull(), s).otherwise(moved)
-
-    end = F.aggregate(F.sequence(F.lit(1), F.lit(steps)), start, advance, lambda s: s["done"])
-    pairs = slots.select((F.col("step") + m0).alias("a"), end.alias("b"))
-    return canonical_edges(pairs, "a", "b", f"grow_m{m0}_t{t}")
+    return grow_family(spark, [(m0, t)], seed)
+
+
+def grow_sql(m0: int, t: int, rest: str, seed: int = 7) -> str:
+    """The same in SQL: g (edges), deg and blk, then the rest."""
+    return f"""WITH RECURSIVE r(st, j, slot, again, lim, done) AS (
+  SELECT CAST(st AS BIGINT), CAST(j AS BIGINT), CAST(st * {m0} + j % {m0} AS BIGINT), CAST(j // {m0} AS BIGINT), CAST(st * {m0} * 2 AS BIGINT), CAST(NULL AS BIGINT)
+  FROM range({t}) a(st), range({4 * m0}) b(j)
+  UNION ALL
+  SELECT st, j, (p - {m0}) // 2, CAST(0 AS BIGINT), ((p - {m0}) // 2 // {m0}) * {m0} * 2, CASE WHEN p < {m0} THEN p WHEN (p - {m0}) % 2 = 0 THEN (p - {m0}) // 2 // {m0} + {m0} END
+  FROM (SELECT *, CAST('0x' || substr(md5('{seed}:' || slot || ':' || again), 1, 15) AS BIGINT) % (lim + {m0}) AS p FROM r WHERE done IS NULL)),
+c AS (SELECT st, j, done FROM r WHERE done IS NOT NULL UNION ALL SELECT st, {4 * m0} + i, i FROM range({t}) a(st), range({m0}) b(i)),
+f AS (SELECT st, done, min(j) AS j FROM c GROUP BY 1, 2),
+g AS (SELECT done AS u, st + {m0} AS v FROM (SELECT *, row_number() OVER (PARTITION BY st ORDER BY j) AS rn FROM f) WHERE rn <= {m0}),
+deg AS (SELECT x AS v, CAST(count(*) AS INT) AS degree FROM (SELECT u AS x FROM g UNION ALL SELECT v FROM g) GROUP BY x),
+blk AS (SELECT degree, count(*) AS size FROM deg GROUP BY degree) {rest}"""

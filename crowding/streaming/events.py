@@ -122,11 +122,16 @@ def stream_static_join(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def stream_exposed(spark: SparkSession, sf: str) -> DataFrame:
-    """foreachBatch: every batch's user graph by minute, and its exposed vertices for k = 3, as (batch, n)."""
+    """foreachBatch: every batch's user graph by minute, with the block sizes of its users. (users seen, whether every
+    user of a batch stands in one block of it, whether blocks add up)"""
 
     def each(batch: DataFrame, i: int) -> DataFrame:
+        users = batch.select(F.lit("b").alias("graph"), F.col("user_id").cast("long").alias("v")).distinct()
         edges = together(batch.select(F.date_trunc("minute", "ts").alias("at"), "user_id"), ["at"], "user_id", "b")
-        return g.exposed_vertices(g.degrees(edges), 3).select(F.col("v"), F.lit(uuid.uuid5(uuid.NAMESPACE_OID, str(i)).hex).alias("run"))
+        deg = g.degrees(edges, users)
+        return deg.join(g.block_sequence(deg), ["graph", "degree"]).join(g.exposed_vertices(deg, 3).select("v", F.lit(True).alias("exposed")), "v", "left").select("v", "degree", "size", F.coalesce("exposed", F.lit(False)).alias("exposed"))
 
     out = run_to_table(stream(spark, as_files(read(spark, sf, "events"))), "append", each)
-    return out.groupBy("batch").agg(F.count_distinct("v").alias("n_exposed"))
+    blocks = out.groupBy("batch", "degree").agg(F.count(F.lit(1)).alias("n"), F.max("size").alias("size"), F.bool_and(F.col("exposed") == (F.col("size") < 3)).alias("told"))
+    seen = out.agg(F.count_distinct("v").alias("n_users"))
+    return seen.crossJoin(blocks.agg(F.bool_and(F.col("n") == F.col("size")).alias("blocks_add_up"), F.bool_and("told").alias("exposed_told")))  # a row each

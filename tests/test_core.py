@@ -7,6 +7,7 @@ import numpy as np
 import pytest
 
 from crowding.core import feasibility as fe
+from crowding.core import jump
 from crowding.core import realization as rz
 from crowding.core import solve as sv
 from crowding.core.lifting import (
@@ -170,7 +171,7 @@ def test_bounds_sandwich_brute_force():
         edges = random_graph(rng, n)
         inst = rz.Instance.of_edges(edges, range(n))
         best = rz.brute_force(edges, range(n), k)
-        lo = {t: sv.realizable_lower_bound(inst, k, test=t, seconds=None, max_lifts=20_000) for t in ("none", "eg", "graph_eg")}
+        lo = {t: sv.realizable_lower_bound(inst, k, test=t, work=None) for t in ("none", "eg", "graph_eg")}
         assert lo["none"].lower_edges <= lo["eg"].lower_edges <= lo["graph_eg"].lower_edges <= best
         up = sv.upper_bound(inst, k, lo["graph_eg"].passing)
         if up:
@@ -208,7 +209,7 @@ def test_reduction_keeps_minimum_and_mostly_the_plain_bound():
         if log and sum(b) < 25:
             used += 1
             inst = rz.Instance(np.array(b), {}, {})
-            a, z = (sv.realizable_lower_bound(inst, k, test="eg", reduce=r, seconds=None, max_lifts=50_000) for r in (False, True))
+            a, z = (sv.realizable_lower_bound(inst, k, test="eg", reduce=r, climb="step", work=20_000) for r in (False, True))
             if a.status == z.status == "ok":
                 # fewer lifts are left above the minimum, so the reduced bound may only be higher
                 assert a.lower_edges <= z.lower_edges
@@ -253,3 +254,87 @@ def test_edges_of_the_domain():
     assert min_cost([0], 2) == 0
     assert sv.solve(rz.Instance.of_edges(WALK_A), 1).opt == 0
     assert rz.guaranteed_large(1, 24) and not rz.guaranteed_large(1, 23)
+
+
+def test_jump_is_the_first_passing_cost():
+    """Cores and their waste against testing every lift of every cost."""
+    rng = random.Random(23)
+    met = 0
+    for _ in range(250):
+        k = rng.choice([2, 3])
+        b = [rng.choice([0, 0, 1, 1, 2, 3, 5, 8]) for _ in range(rng.randint(3, 7))] + [rng.randint(1, 3)]
+        if sum(b) < k or min_cost(b, k) > 12:
+            continue
+        first = min_lift(b, k)
+        most = first.cost + fe.waste_needed(fe.demand_histogram(b, first.x))
+        got = jump.passing_cost(b, k, most)
+        for core in got.cores:
+            assert sum(core.x) == core.cost and is_crowded(lifted(b, core.x), k) and fe.demand_histogram(b, core.x) == core.histogram()
+        step = next((c for c in range(first.cost, got.cost + 5) for x in enumerate_lifts(b, k, c) if fe.eg_test_blocks(fe.demand_histogram(b, x.x))), None)
+        assert step is None or got.cost <= step
+        met += got.cost == step
+        assert jump.passing_cost(b, k, most, beam=1).cost <= got.cost  # merged states only weaken the bound
+    assert met > 150
+
+
+def test_bounds_on_many_small_graphs():
+    """No bound above the optimum, no false optimum, every solution valid, every baseline ends."""
+    rng = random.Random(29)
+    optimal = 0
+    for _ in range(1000):
+        n, k = rng.randint(4, 7), rng.choice([2, 2, 3, 4])
+        edges = random_graph(rng, n)
+        r = sv.solve(rz.Instance.of_edges(edges, range(n)), k)
+        best = rz.brute_force(edges, range(n), k)
+        assert r.dp_lo <= best <= r.oh and best <= r.ch and r.opt in (None, best)
+        assert r.verified and rz.verify(edges, range(n), r.edges, k)
+        optimal += r.opt is not None
+    assert optimal > 900
+
+
+def test_equal_calls_give_equal_rows():
+    rng = random.Random(31)
+    edges = [e for e in combinations(range(60), 2) if rng.random() < 0.08]
+    inst = rz.Instance.of_edges(edges, range(60))
+    for work in (5, 50, 500):
+        a, b = (sv.solve(inst, 4, work) for _ in range(2))
+        assert [getattr(a, c) for c in ("ch", "oh", "opt", "dp_lo", "dp_hi", "status", "edges")] == [getattr(b, c) for c in ("ch", "oh", "opt", "dp_lo", "dp_hi", "status", "edges")]
+
+
+def test_more_work_never_loosens_bounds():
+    rng = random.Random(37)
+    for _ in range(10):
+        edges = [e for e in combinations(range(40), 2) if rng.random() < 0.4]
+        inst = rz.Instance.of_edges(edges, range(40))
+        low = [sv.realizable_lower_bound(inst, 5, work=w).lower_edges for w in (1, 10, 100, 1000)]
+        assert low == sorted(low)
+
+
+def test_clustering_ends_and_is_crowded():
+    rng = random.Random(41)
+    for n, p in ((80, 0.05), (120, 0.3), (60, 0.8)):
+        edges = [e for e in combinations(range(n), 2) if rng.random() < p]
+        inst = rz.Instance.of_edges(edges, range(n))
+        for k in (2, 3, 5, 10, 20, n):
+            got = sv.cluster_baseline(inst, k)
+            assert got is not None and rz.verify(edges, range(n), got, k)
+
+
+def test_small_left_blocks_are_reduced_only_if_the_cost_stays():
+    rng = random.Random(43)
+    small = 0
+    for _ in range(400):
+        k = rng.choice([3, 4, 5])
+        b = [0] + [rng.choice([0, 1, k - 1, k, k + 1, 2 * k]) for _ in range(8)] + [3 * k]
+        left, x, log = reduce_pattern(b, k)
+        assert min_cost(left, k) + x.sum() == min_cost(b, k) and list(lifted(b, x)) == list(left)
+        small += any(b[i] < 2 * k - 1 for i, _ in log)
+    assert small > 20
+
+
+def test_realize_sequence():
+    inst = rz.Instance.of_edges(WALK_B)
+    assert rz.realize_sequence(inst, [0, 3, 0, 5, 0, 0, 2])[0] == {(4, 6)}
+    assert rz.realize_sequence(inst, [0, 4, 0, 4, 0, 1, 1]) is None  # it does not dominate
+    with pytest.raises(ValueError):
+        rz.realize_sequence(inst, [0, 3, 0, 5])

@@ -12,7 +12,7 @@ from crowding.operators import graph as g
 from crowding.operators import relational as rel
 from crowding.operators import rounds
 from crowding.plans import catalog, solver
-from crowding.plans.workloads import GRAPHS, grow
+from crowding.plans.workloads import GRAPHS, grow, grow_family
 
 SF = "/root/testdata/sf0.001"
 
@@ -55,7 +55,7 @@ def test_crossings_and_demands_match_kernel(spark):
 def test_solutions_hold_on_the_full_graph(spark):
     graphs = {n: GRAPHS[n](spark, SF) for n in ("cust_day", "page_links")}
     graphs["grow"] = grow(spark, 3, 400)
-    out = solver.solve_graphs(spark, graphs, (2, 3, 5), seconds=2)
+    out = solver.solve_graphs(spark, graphs, (2, 3, 5))
     rows = out.collect()
     assert len(rows) == 9
     for r in rows:
@@ -76,7 +76,10 @@ def test_block_program_against_sections(spark):
 def test_generator(spark):
     for m0, t in ((3, 400), (5, 800)):
         s = g.graph_summary(g.degrees(grow(spark, m0, t))).first()
-        assert s["n"] == m0 + t and s["m"] <= m0 * t and s["max_degree"] > 4 * m0
+        assert s["n"] == m0 + t and s["m"] == m0 * t and s["max_degree"] > 4 * m0
+    both = grow_family(spark, [(3, 60), (5, 40)])
+    assert both.distinct().count() == 3 * 60 + 5 * 40 and both.filter("u >= v").count() == 0
+    assert sorted(tuple(r)[1:] for r in both.filter("graph = 'grow_m3_t60'").collect()) == sorted(tuple(r)[1:] for r in grow(spark, 3, 60).collect())
     assert sorted(grow(spark, 3, 50).collect()) == sorted(grow(spark, 3, 50).collect())
 
 
@@ -87,7 +90,35 @@ def test_rounds(spark):
     pairs = [tuple(r) for r in done.collect()]
     assert len(set(pairs)) == len(pairs) and all(a < b and b != a + 1 for a, b in pairs)
     asked, rest = dem.agg(F.sum("demand")).first()[0], left.agg(F.coalesce(F.sum("demand"), F.lit(0))).first()[0]
-    assert 2 * len(pairs) + rest == asked and rest <= 6
+    assert 2 * len(pairs) + rest == asked and rest == 0
+
+
+def test_demands_in_one_task_and_by_rounds(spark):
+    e = edges(spark, [(i, i + 1) for i in range(60)])
+    dem = spark.createDataFrame([(i, 1 + i % 3) for i in range(60)], "v long, demand int")
+    for most in (1000, 0):
+        pairs = [tuple(r) for r in rounds.realize_demands(e, dem, most).collect()]
+        got = {v: sum(v in p for p in pairs) for v in range(60)}
+        assert got == {i: 1 + i % 3 for i in range(60)} and all(a < b and b != a + 1 for a, b in pairs) and len(set(pairs)) == len(pairs)
+    assert rounds.realize_demands(e, dem.limit(1), 0) is None  # an odd sum, or nobody to join
+    assert rounds.realize_demands(e, dem.limit(0)).count() == 0
+
+
+def test_graphs_beyond_one_task(spark, monkeypatch):
+    e = GRAPHS["cust_day"](spark, SF)
+    whole = solver.solve_graphs(spark, {"g": e}, (2, 3)).collect()
+    monkeypatch.setattr(solver, "MAX_EDGES", -1)
+    large = solver.solve_graphs(spark, {"g": e}, (2, 3))
+    assert [r["variant"] for r in large.collect()] == ["rounds", "rounds"]
+    assert all(r["valid"] for r in solver.verify_all(e.select(F.lit("g").alias("graph"), "u", "v"), large).collect())
+    assert all(a["oh"] <= b["oh"] for a, b in zip(sorted(whole, key=lambda r: r["k"]), large.orderBy("k").collect()))
+
+
+def test_tasks_get_one_instance_each(spark):
+    for n in (1, 7, 40):
+        keys = solver._spread(spark, n)
+        df = spark.createDataFrame([(k,) for k in keys], "slot long").repartition(n, "slot")
+        assert len(keys) == n and all(r["n"] == 1 for r in df.groupBy(F.spark_partition_id()).agg(F.count(F.lit(1)).alias("n")).collect())
 
 
 def test_publish_keeps_degrees(spark):
