@@ -73,11 +73,10 @@ def unkey(col: str = "key") -> "F.Column":
 
 
 def range_bounds(keys: DataFrame, col: str, parts: int) -> list[int]:
-    """At most parts - 1 cut points of a numeric column, for a deterministic range bucket of any row."""
-    parts = max(1, min(parts, 4096))
-    if parts == 1:
+    """At most parts - 1 cut points of a numeric column, for a deterministic range bucket of any row; 8 bytes a part."""
+    if parts <= 1:
         return []
-    got = keys.agg(F.percentile_approx(col, [i / parts for i in range(1, parts)], 20 * parts).alias("b")).first()["b"]
+    got = keys.agg(F.percentile_approx(col, [i / parts for i in range(1, parts)], min(20 * parts, 1_000_000)).alias("b")).first()["b"]
     return sorted(set(got or []))
 
 
@@ -117,6 +116,15 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def join_counted(rows: DataFrame, side: DataFrame, key: str, total: int, least: int = 200, groups: int = 20_000) -> DataFrame:
+    """rows joined with side, which has one row a key and n, how many of the total rows have it. Sides of keys with many
+    rows, `groups` of them at most, are broadcast, so that no task gets all rows of a key; n is left out."""
+    many = F.col("n") >= max(least, -(-total // groups))
+    large = side.filter(many).drop("n")
+    rest = rows.join(F.broadcast(large.select(key)), key, "left_anti")
+    return rows.join(F.broadcast(large), key).unionByName(rest.join(side.filter(~many).drop("n"), key))
+
+
 def unused(df: DataFrame, name: str) -> str:
     """A column name that df does not have, whatever the case."""
     there = {c.lower() for c in df.columns}

@@ -24,6 +24,7 @@ doc_id and text are ignored.
 from __future__ import annotations
 
 import heapq
+from array import array
 from collections.abc import Iterator
 from dataclasses import dataclass
 from hashlib import blake2b
@@ -35,7 +36,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from crowding.llm.common import claim, keyed, partitions, release, released, settle, slices, table, unkey, utf8
+from crowding.llm.common import claim, join_counted, keyed, partitions, release, released, settle, slices, table, unkey, utf8
 
 #: Signatures a group of cells may bring to one task, and shingles a task of the search may hold.
 SIGNED = 300_000
@@ -215,25 +216,28 @@ def shared(rows: np.ndarray) -> np.ndarray:
 
 
 def near_pairs(n: np.ndarray, sketches: list[bytes], limit: Threshold) -> np.ndarray:
-    """Places (i, j) that size and sketch do not tell apart, or a forest of them if there are many rows."""
-    order = np.argsort(n, kind="stable")
-    n, sk = n[order], stacked([sketches[i] for i in order], min(map(len, sketches)))
-    stop = np.searchsorted(n, n * limit.den // limit.num, side="right")
-    out, forest = [], Forest(len(n)) if len(n) > 64 else None
-    step = max(1, CELLS // (sk.shape[1] * len(n)))
-    for i in range(0, len(n), step):
-        top = int(stop[min(i + step, len(n)) - 1])
-        if top <= i + 1:
-            continue
-        gap = np.abs(sk[i : i + step, None, :] - sk[None, i:top, :]).sum(axis=2)
-        a, b = np.nonzero(gap <= (n[i : i + step, None] + n[None, i:top]) * (limit.den - limit.num) // (limit.den + limit.num))
-        a, b = a + i, b + i
-        ok = (b > a) & (b < stop[a])
-        pairs = np.stack([a[ok], b[ok]], axis=1)
-        if forest is not None:
-            pairs = np.array([p for p in pairs.tolist() if forest.join(*p)], dtype=np.int64).reshape(-1, 2)
-        out.append(order[pairs])
-    return np.concatenate(out) if out else np.zeros((0, 2), np.int64)
+    """Places (i, j) that connect what size and sketch do not tell apart.
+
+    Each place reached looks at those not reached yet, so a group of near copies takes one look at each of them, not
+    one at every pair.
+    """
+    sk = stacked(sketches, min(map(len, sketches)))
+    far, out = np.arange(len(n)), []
+    while len(far):
+        queue, far = [int(far[0])], far[1:]
+        while queue and len(far):
+            i = queue.pop()
+            hit = np.zeros(len(far), bool)
+            for at in np.array_split(np.arange(len(far)), 1 + sk.shape[1] * len(far) // CELLS):
+                j = far[at]
+                small, large = np.minimum(n[i], n[j]), np.maximum(n[i], n[j])
+                gap = np.abs(sk[j] - sk[i]).sum(axis=1)
+                hit[at] = (large <= small * limit.den // limit.num) & (gap <= (small + large) * (limit.den - limit.num) // (limit.den + limit.num))
+            found = far[hit]
+            out += [(i, j) for j in found.tolist()]
+            queue += found.tolist()
+            far = far[~hit]
+    return np.array(out, np.int64).reshape(-1, 2)
 
 
 def candidate_edges(groups: DataFrame, nodes: DataFrame, limit: Threshold) -> DataFrame:
@@ -309,15 +313,16 @@ def components(edges: DataFrame, name: str = "components") -> DataFrame:
     edges settle as stars around roots. Each round is written to the shared folder.
     """
     now = settle(edges.filter("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), name)
+    size = now.count()
     while True:
         both = now.unionByName(now.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        low = both.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("m"))
-        large = both.join(low, "a").filter("b > a and b <> m").select(F.col("b").alias("a"), F.col("m").alias("b")).distinct()
+        low = both.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("m"), F.count(F.lit(1)).alias("n"))
+        large = join_counted(both, low, "a", 2 * size).filter("b > a and b <> m").select(F.col("b").alias("a"), F.col("m").alias("b")).distinct()
         root = large.groupBy("a").agg(F.min("b").alias("m"))
         small = large.join(root, "a").select(F.explode(F.array("a", "b")).alias("a"), F.col("m").alias("b")).filter("a <> b").distinct()
         after = settle(small, name)
         same = [x.agg(F.count(F.lit(1)), F.coalesce(F.sum(F.xxhash64("a", "b").cast("decimal(20,0)")), F.lit(0))).first() for x in (now, after)]
-        now = after
+        now, size = after, same[1][0]
         if same[0] == same[1]:
             break
     roots = now.select(F.col("b").alias("node")).distinct().withColumn("root", F.col("node"))
@@ -336,18 +341,15 @@ def t_occurrence(lists: list[np.ndarray], t: int, skip=None) -> list[tuple[int,
         return []
     aside = min(t - 1, int(t / (0.0085 * np.log2(len(lists[-1]) + 1) + 1)))
     short, long = lists[: len(lists) - aside], lists[len(lists) - aside :]
-    if sum(map(len, short)) <= 512:
-        ids, counts, last = [], [], None
-        for x in heapq.merge(*[s.tolist() for s in short]):
-            if x == last:
-                counts[-1] += 1
-            else:
-                ids.append(x)
-                counts.append(1)
-                last = x
-        cand, seen = np.array(ids, dtype=np.int64), np.array(counts, dtype=np.int64)
-    else:  # many heads at once: one sort gives the heap's order
-        cand, seen = np.unique(np.concatenate(short), return_counts=True)
+    ids, counts, last = array("q"), array("q"), None
+    for x in heapq.merge(*[s.tolist() for s in short]):
+        if x == last:
+            counts[-1] += 1
+        else:
+            ids.append(x)
+            counts.append(1)
+            last = x
+    cand, seen = np.frombuffer(ids, np.int64), np.frombuffer(counts, np.int64)
     keep = seen >= t - aside
     cand, seen = cand[keep], seen[keep]
     if skip is not None and len(cand):

@@ -167,24 +167,17 @@ class TokenRollup:
         return gone
 
 
-#: Groups of copies of at least so many rows, and of a 20,000th of all rows, are broadcast: 20,000 at most.
-HEAVY, HEAVY_GROUPS = 200, 20_000
+#: Groups of copies of so many rows, if they are a 20,000th of all rows as well, have their smallest id broadcast.
+HEAVY = 200
 
 
 def later_copies(counts: DataFrame) -> DataFrame:
-    """Rows whose text already stands under a smaller doc_id; a null doc_id is never one.
+    """Rows whose text already stands under a smaller doc_id; a null doc_id is never one."""
+    from crowding.llm.common import join_counted, settle
 
-    The smallest id of a large group of copies is broadcast to its rows, so that no task gets the whole group.
-    """
-    from crowding.llm.common import settle
-
-    first = settle(counts.groupBy(F.col("text_md5").alias("m")).agg(F.min("doc_id").alias("first_id"), F.count(F.lit(1)).alias("n")).filter("n > 1"), "token-first")
+    first = settle(counts.groupBy("text_md5").agg(F.min("doc_id").alias("first_id"), F.count(F.lit(1)).alias("n")).filter("n > 1"), "token-first")
     total = first.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
-    large = first.filter(F.col("n") >= max(HEAVY, -(-total // HEAVY_GROUPS)))
-    small = first.join(F.broadcast(large.select("m")), "m", "left_anti")
-    later = lambda rows, side: rows.join(side, F.col("text_md5") == F.col("m")).filter("doc_id > first_id").drop("m", "first_id", "n")
-    rest = counts.join(F.broadcast(large.select(F.col("m").alias("l"))), F.col("text_md5") == F.col("l"), "left_anti")
-    return later(counts, F.broadcast(large)).unionByName(later(rest, small))
+    return join_counted(counts, first, "text_md5", total, HEAVY).filter("doc_id > first_id").select(*counts.columns)
 
 
 def maintain(docs: DataFrame, rollup: TokenRollup) -> DataFrame:
