@@ -23,20 +23,25 @@ import uuid
 import zlib
 from array import array
 from collections.abc import Iterator
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from crowding.llm.common import NULL_KEY, bucket_of, claim, keyed, open_fs, partitions, range_bounds, scratch, settle, slices, table, utf8
+from crowding.llm.common import NULL_KEY, claim, keyed, open_fs, partitions, range_bounds, released, scratch, settle, slices, table, utf8
 
 MAGIC = b"TOKEF001"
 #: Every so many ones the select structure holds a place.
 SELECT = 256
 END_ID = 1
-#: Words whose ids a worker keeps.
-CACHE = 1_500_000
+#: Bytes of words with their ids that a worker keeps.
+CACHE = 192 << 20
+#: Bytes of text a shard shall hold, and documents or ids that are read at a time.
+SHARD_BYTES = 256 << 20
+READ_DOCS, READ_IDS = 2048, 4 << 20
 #: ASCII marks that may end a word.
 TRAIL = b".,;:!?)]}|*#%$"
 
@@ -126,6 +131,7 @@ class WordEncoder:
         self.tok.no_padding()
         self.dtype = np.dtype("<u2" if self.tok.get_vocab_size() <= 1 << 16 else "<u4")
         self.known: dict[bytes, bytes] = {}
+        self.held = 0
         # whether upper case and words of ASCII letters are seen to go the way that the shortcuts below take
         probe = "Abc xyzzy the WORD"
         ids = self.tok.encode(probe.lower(), add_special_tokens=False).ids
@@ -135,9 +141,13 @@ class WordEncoder:
     def of(cls, path: str) -> "WordEncoder":
         if path not in _encoders:
             _encoders[path] = cls(path)
-        claim(f"words {path}", _encoders[path].known.clear)
+        claim(f"words {path}", _encoders[path].forget)
         return _encoders[path]
 
+    def forget(self) -> None:
+        self.known.clear()
+        self.held = 0
+
     def _learn(self, missing: set[bytes]) -> None:
         """Ids of words; end punctuation behind a letter is a piece of its own to these tokenizers."""
         known, cut, need = self.known, {}, set()
@@ -162,12 +172,13 @@ class WordEncoder:
                 known[w] = array(dtype.char, e.ids).tobytes()
         for w, core in cut.items():
             known[w] = known[core] + known[w[len(core) :]]
+        self.held += sum(170 + 4 * len(w) for w in chain(need, cut))  # entry, word and ids, about
 
     def encode(self, texts: list[bytes]) -> list[bytes]:
         """Ids of each text, back to back in dtype."""
         known = self.known
-        if len(known) > CACHE:
-            known.clear()
+        if self.held > CACHE:
+            self.forget()
         # lower case is the tokenizer's own doing; only the strings of added tokens must keep theirs
         cut = [(t.lower() if self.plain and b"<|" not in t else t).split() for t in texts]
         missing = set().union(*cut).difference(known)
@@ -178,25 +189,30 @@ class WordEncoder:
 
 
 def encode_documents(docs: DataFrame, tokenizer: str, end_id: int, bounds: list[int]) -> DataFrame:
-    """shard, key, ids (binary): ids of each text and the end id."""
+    """shard, key, ids (binary): ids of each text and the end id; a shard is a range of keys."""
+    cuts = np.array(bounds, np.int64)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc = WordEncoder.of(tokenizer)
         end = np.array([end_id], enc.dtype).tobytes()
         for b in slices(batches, 1024, 8 << 20):
             ids = [x + end for x in enc.encode(utf8(b, "text"))]
-            yield pa.RecordBatch.from_arrays([b.column("key"), pa.array(ids, pa.binary())], names=["key", "ids"])
+            shard = np.searchsorted(cuts, b.column("key").to_numpy(zero_copy_only=False), side="right").astype(np.int32)
+            yield pa.RecordBatch.from_arrays([pa.array(shard), b.column("key"), pa.array(ids, pa.binary())], names=["shard", "key", "ids"])
 
-    return docs.mapInArrow(run, "key long, ids binary").select(bucket_of("key", bounds).alias("shard"), "key", "ids")
+    return docs.mapInArrow(released(run), "shard int, key long, ids binary")
 
 
 def write_shards(encoded: DataFrame, root: str, width: int) -> DataFrame:
-    """Write each shard's file; manifest (shard, path, n_docs, n_ids). encoded: sorted by shard, key within partitions."""
+    """Write each shard's file; manifest (shard, path, n_docs, n_ids). encoded: sorted by shard, key within partitions.
+
+    Ids are written as they come; of a document 16 bytes are held until its shard is closed.
+    """
 
-    def close(f, shard, path, keys: list, sizes: list):
-        at = np.concatenate([[0], np.cumsum(sizes)]).astype(np.uint64)
-        first = int(keys[0])
-        ids = EliasFano.encode(np.array([k - first for k in keys], dtype=np.uint64)).tobytes()
+    def close(f, shard, path, keys: array, sizes: array):
+        at = np.concatenate([[0], np.cumsum(np.frombuffer(sizes, np.int64))]).astype(np.uint64)
+        first = keys[0]
+        ids = EliasFano.encode(np.frombuffer(keys, np.int64).astype(np.uint64) - np.uint64(first % 2**64)).tobytes()
         edges = EliasFano.encode(at).tobytes()
         f.write(ids + edges + struct.pack("<qQQQB", first, int(at[-1]), len(ids), len(edges), width) + MAGIC)
         f.close()
@@ -205,13 +221,13 @@ def write_shards(encoded: DataFrame, root: str, width: int) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         fs, top = open_fs(root)
         fs.create_dir(top, recursive=True)
-        f, now, path, keys, sizes = None, None, "", [], []
+        f, now, path, keys, sizes = None, None, "", array("q"), array("q")
         for b in batches:
             for shard, key, ids in zip(*(b.column(c).to_pylist() for c in ("shard", "key", "ids"))):
                 if shard != now or f is None:
                     if f is not None:
                         yield close(f, now, path, keys, sizes)
-                    now, path, keys, sizes = shard, f"{shard:06d}-{uuid.uuid4().hex}.tokef", [], []
+                    now, path, keys, sizes = shard, f"{shard:06d}-{uuid.uuid4().hex}.tokef", array("q"), array("q")
                     f = fs.open_output_stream(f"{top}/{path}", buffer_size=1 << 20)
                     f.write(MAGIC)
                 f.write(ids)
@@ -220,7 +236,7 @@ def write_shards(encoded: DataFrame, root: str, width: int) -> DataFrame:
         if f is not None:
             yield close(f, now, path, keys, sizes)
 
-    return encoded.mapInArrow(run, "shard int, path string, n_docs long, n_ids long")
+    return encoded.mapInArrow(released(run), "shard int, path string, n_docs long, n_ids long")
 
 
 class ShardFile:
@@ -255,36 +271,40 @@ class ShardFile:
 
 
 def read_shards(spark: SparkSession, manifest: DataFrame, root: str) -> DataFrame:
-    """doc_id, start, n_tokens, ids_crc32 of every document, from the files."""
-    rows = manifest.orderBy("shard").collect()  # a row per shard, 4096 at most
-    base, at = [], 0
-    for r in rows:
-        base.append((f"{root}/{r['path']}", at))
-        at += r["n_ids"]
-    files = spark.createDataFrame(base, "path string, base long").repartition(max(1, len(base)))
+    """doc_id, start, n_tokens, ids_crc32 of every document, from the files; offsets and ids of documents by select."""
+    by = W.orderBy("shard").rowsBetween(W.unboundedPreceding, -1)
+    base = F.coalesce(F.sum("n_ids").over(by), F.lit(0)).cast("long")  # a row per shard
+    files = manifest.select(F.concat(F.lit(f"{root}/"), "path").alias("path"), base.alias("base"), "shard")
+    files = settle(files, "token-bases")
+    files = files.repartition(max(1, files.count()), "shard").select("path", "base")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for path, start in zip(b.column("path").to_pylist(), b.column("base").to_pylist()):
                 s = ShardFile(path)
-                edges = s.edges.values().astype(np.int64)
-                keys = [int(k) + s.first for k in s.keys.values()]
-                for i in range(0, len(s), 2048):
-                    cut = edges[i : i + 2049]
-                    part = s.read(int(cut[0]), int(cut[-1])).astype("<u4")
-                    mem, rel = memoryview(part).cast("B"), (cut - cut[0]) * 4
-                    crc = [zlib.crc32(mem[a:e]) for a, e in zip(rel, rel[1:])]
-                    ids = [None if k == NULL_KEY else k for k in keys[i : i + 2048]]
-                    yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(cut[:-1] + start), pa.array(np.diff(cut)), pa.array(crc, pa.int64())], names=["doc_id", "start", "n_tokens", "ids_crc32"])
-
-    return files.mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long")
+                i, at = 0, 0
+                while i < len(s):
+                    cut = [at]
+                    while len(cut) <= READ_DOCS and i + len(cut) <= len(s) and cut[-1] - at < READ_IDS:
+                        cut.append(s.edges.select(i + len(cut)))
+                    n = len(cut) - 1
+                    mem = memoryview(s.read(cut[0], cut[-1]).astype("<u4")).cast("B")
+                    crc = [zlib.crc32(mem[4 * (a - at) : 4 * (e - at)]) for a, e in zip(cut, cut[1:])]
+                    ids = [None if (k := s.key(j)) == NULL_KEY else k for j in range(i, i + n)]
+                    places = np.array(cut, np.int64)
+                    yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(places[:-1] + start), pa.array(np.diff(places)), pa.array(crc, pa.int64())], names=["doc_id", "start", "n_tokens", "ids_crc32"])
+                    i, at = i + n, cut[-1]
+
+    return files.mapInArrow(released(run), "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
 def write_token_files(docs: DataFrame, tokenizer: str, root: str, end_id: int = END_ID, shards: int | None = None) -> DataFrame:
-    """Encode documents to shard files below a shared path; the manifest, settled."""
+    """Encode documents to shard files below a shared path; the manifest, settled. Shards grow in number with the bytes of text."""
     spark = docs.sparkSession
     rows = keyed(docs)
-    shards = shards or partitions(spark)
+    if shards is None:
+        total = rows.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
+        shards = max(partitions(spark), int(total) // SHARD_BYTES + 1)
     bounds = range_bounds(rows.select("key"), "key", shards)
     width = WordEncoder.of(tokenizer).dtype.itemsize
     dealt = encode_documents(rows, tokenizer, end_id, bounds).repartition(len(bounds) + 1, "shard").sortWithinPartitions("shard", "key", "ids")
