@@ -10,8 +10,8 @@ one of the permuted tables, keyed by every choice of the other blocks, holds bot
 pair counts in the first table where it agrees, hence once.
 
 Edge cases: a null text is empty, and an empty text, having no terms, has fingerprint 0; a null doc_id is
-one more id, ordered before all others; rows that share a doc_id are reduced to the longest, then greatest
-text; equal texts have equal fingerprints; columns other than those named are ignored. The document after
+one more id, ordered before all others; rows that share a doc_id all stay, each a document, one behind the other in
+the order of a hash of their texts; equal texts have equal fingerprints; columns other than those named are ignored. The document after
 the last is the first; a single document is its own successor.
 """
 
@@ -31,10 +31,11 @@ _LANES = 0x0001000100010001
 _PIECE = 12  # bits of a position within a piece
 
 
-def one_per_key(docs: DataFrame) -> DataFrame:
-    """(key, text): the longest, then greatest text of each key."""
-    w = W.partitionBy("key").orderBy(F.char_length("text").desc(), F.col("text").desc())
-    return docs.withColumn("rn", F.row_number().over(w)).filter("rn = 1").drop("rn")
+def numbered(docs: DataFrame, *cols: str) -> DataFrame:
+    """(key, dup, n_chars, *cols): dup tells rows of one id apart, 1 and up in the order of a hash of their texts."""
+    w = W.partitionBy("key").orderBy("h")
+    rows = docs.select("key", F.md5("text").alias("h"), F.char_length("text").cast("long").alias("n_chars"), *cols)
+    return rows.select("key", F.row_number().over(w).alias("dup"), "n_chars", *cols)
 
 
 def terms(rows: DataFrame, keys: list[str], text: str) -> DataFrame:
@@ -100,33 +101,39 @@ def within_radius(fps: DataFrame, queries: DataFrame, radius: int = RADIUS, bloc
     first = F.lit(len(masks))
     for t in reversed(range(len(masks))):
         first = F.when(x.bitwiseAND(_signed(masks[t])) == 0, F.lit(t)).otherwise(first)
-    near = e.join(q, ["t", "k"]).filter((F.bit_count(x) <= radius) & (first == F.col("t")))
+    near = e.join(q.hint("merge"), ["t", "k"]).filter((F.bit_count(x) <= radius) & (first == F.col("t")))
     return near.select("query_fp", "fp", "n", F.bit_count(x).alias("dist"))
 
 
-def successors(keys: DataFrame, parts: int) -> DataFrame:
-    """(key, next_key) in ascending order, the first following the last; keys are distinct."""
-    bounds = range_bounds(keys, "key", parts)
-    dealt = keys.withColumn("bucket", bucket_of("key", bounds))
-    heads = {r["bucket"]: r["head"] for r in dealt.groupBy("bucket").agg(F.min("key").alias("head")).collect()}  # a row per range, 4096 at most
+def successors(rows: DataFrame, parts: int) -> DataFrame:
+    """(key, dup, n_chars, next_key, next_dup) in ascending order, the first following the last; (key, dup) are distinct.
+
+    Only the first of every range of keys, a row per range, comes to the driver.
+    """
+    bounds = range_bounds(rows, "key", min(parts, 4096))
+    dealt = rows.withColumn("bucket", bucket_of("key", bounds))
+    here = F.struct("key", "dup")
+    heads = {r["bucket"]: (r["head"]["key"], r["head"]["dup"]) for r in dealt.groupBy("bucket").agg(F.min(here).alias("head")).collect()}
     if not heads:
-        return keys.select("key", F.col("key").alias("next_key"))
+        return rows.select("key", "dup", "n_chars", F.col("key").alias("next_key"), F.col("dup").alias("next_dup"))
     order = sorted(heads)
     follow = {b: heads[order[(i + 1) % len(order)]] for i, b in enumerate(order)}
-    tail = F.array(*[F.lit(follow.get(b, heads[order[0]])).cast("long") for b in range(len(bounds) + 1)])
-    return dealt.select("key", F.coalesce(F.lead("key").over(W.partitionBy("bucket").orderBy("key")), F.get(tail, F.col("bucket"))).alias("next_key"))
+    tail = F.array(*[F.struct(F.lit(k).cast("long").alias("key"), F.lit(d).cast("int").alias("dup")) for k, d in (follow.get(b, heads[order[0]]) for b in range(len(bounds) + 1))])
+    after = F.coalesce(F.lead(here).over(W.partitionBy("bucket").orderBy("key", "dup")), F.get(tail, F.col("bucket")))
+    return dealt.select("key", "dup", "n_chars", after.alias("after")).select("key", "dup", "n_chars", F.col("after")["key"].alias("next_key"), F.col("after")["dup"].alias("next_dup"))
 
 
 def with_edited(docs: DataFrame) -> DataFrame:
-    """key, next_key, text, n_chars, edited: the text whose last quarter of code points is the next text's beginning."""
-    base = one_per_key(docs)
-    lengths = docs.groupBy("key").agg(F.max(F.char_length("text")).cast("long").alias("n_chars"))
-    follow = successors(docs.select("key").distinct(), partitions(docs.sparkSession)).join(lengths, "key")
-    asked = follow.select(F.col("next_key").alias("key"), F.col("key").alias("asker"), F.floor(F.col("n_chars") / 4).cast("int").alias("need"))
-    given = base.join(asked, "key").select(F.col("asker").alias("key"), F.substring("text", F.lit(1), F.col("need")).alias("patch"), "need")
+    """key, dup, next_key, next_dup, text, n_chars, edited: the text whose last quarter of code points is the next text's beginning."""
+    ids = ["key", "dup"]
+    base = numbered(docs, "text").drop("n_chars")
+    follow = successors(numbered(docs), partitions(docs.sparkSession))
+    asked = follow.select(F.col("next_key").alias("key"), F.col("next_dup").alias("dup"), F.col("key").alias("asker"), F.col("dup").alias("asker_dup"), F.floor(F.col("n_chars") / 4).cast("int").alias("need"))
+    # sides that grow with the documents are never broadcast
+    given = base.join(asked.hint("merge"), ids).select(F.col("asker").alias("key"), F.col("asker_dup").alias("dup"), F.substring("text", F.lit(1), F.col("need")).alias("patch"), "need")
     return (
-        base.join(given, "key").join(follow, "key")
-        .select("key", "next_key", "text", "n_chars", F.concat(F.substring("text", F.lit(1), (F.col("n_chars") - F.col("need")).cast("int")), F.col("patch")).alias("edited"))
+        base.join(given.hint("merge"), ids).join(follow.hint("merge"), ids)
+        .select(*ids, "next_key", "next_dup", "text", "n_chars", F.concat(F.substring("text", F.lit(1), (F.col("n_chars") - F.col("need")).cast("int")), F.col("patch")).alias("edited"))
     )
 
 
@@ -135,21 +142,21 @@ def op3_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     documents lie within the radius of it (n_within; null for others)."""
     rows = with_edited(keyed(table(spark, sf_dir, "documents")))
     both = rows.select(
-        "key", "next_key", "n_chars", F.sha2("edited", 256).alias("edited_sha256"),
+        "key", "dup", "next_key", "next_dup", "n_chars", F.sha2("edited", 256).alias("edited_sha256"),
         F.inline(F.array(F.struct(F.lit(0).alias("edit"), F.col("text").alias("body")), F.struct(F.lit(1).alias("edit"), F.col("edited").alias("body")))),
     )
-    keys = ["key", "next_key", "n_chars", "edited_sha256", "edit"]
+    keys = ["key", "dup", "next_key", "next_dup", "n_chars", "edited_sha256", "edit"]
     fps = fingerprint(terms(both, keys, "body"), keys)
-    pair = fps.groupBy("key", "next_key", "n_chars", "edited_sha256").agg(F.max(F.when(F.col("edit") == 0, F.col("fp"))).alias("fp"), F.max(F.when(F.col("edit") == 1, F.col("fp"))).alias("edited_fp"))
+    pair = fps.groupBy(*keys[:-1]).agg(F.max(F.when(F.col("edit") == 0, F.col("fp"))).alias("fp"), F.max(F.when(F.col("edit") == 1, F.col("fp"))).alias("edited_fp"))
     from crowding.llm.common import settle
 
     pair = settle(pair, "fingerprints")
     groups = pair.groupBy("fp").agg(F.count(F.lit(1)).alias("n"))
     asked = pair.filter(F.pmod(F.col("key"), F.lit(20)) == 0).select("fp").distinct()
     found = within_radius(groups, asked).groupBy(F.col("query_fp").alias("fp")).agg(F.sum("n").alias("n_found"))
-    after = pair.select(F.col("key").alias("next_key"), F.col("fp").alias("next_fp"))
+    after = pair.select(F.col("key").alias("next_key"), F.col("dup").alias("next_dup"), F.col("fp").alias("next_fp"))
     like = lambda a, b: F.lit(1.0) - distance(F.col(a), F.col(b)) / F.lit(64.0)
-    return pair.join(after, "next_key").join(found, "fp", "left").select(
+    return pair.join(after.hint("merge"), ["next_key", "next_dup"]).join(found.hint("merge"), "fp", "left").select(
         unkey().alias("doc_id"), "n_chars", "edited_sha256", hex16("fp").alias("fingerprint"), hex16("edited_fp").alias("edited_fingerprint"),
         like("fp", "edited_fp").alias("near_edited"), like("fp", "next_fp").alias("near_next"),
         F.when(F.pmod(F.col("key"), F.lit(20)) == 0, F.col("n_found")).alias("n_within"),
