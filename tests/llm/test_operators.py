@@ -178,6 +178,23 @@ def test_carried_text():
         assert (n, size, sha, crc) == (len(t), len(want), hashlib.sha256(want).hexdigest(), zlib.crc32(want[-64:])) and stored > size
 
 
+def test_media_query_on_odd_rows(spark, tmp_path):
+    """Every column of the query against plain Python, on nulls, empty, long and repeated texts."""
+    long = "é漢🙂 line\n" * 40_000
+    rows = [(1, "abc"), (1, "abc"), (None, "x" * 64), (2, None), (3, ""), (4, long), (5, "y" * 65)]
+    spark.createDataFrame(rows, "doc_id long, text string").withColumn("feature", F.lit("clash")).write.parquet(f"{tmp_path}/documents.parquet")
+    got = media.op2_media_columns(spark, str(tmp_path)).collect()
+    want = Counter()
+    for i, t in rows:
+        raw = (t or "").encode()
+        pay = raw + bytes(-len(raw) % 64 if raw else 64)
+        want[i, len(raw), len(pay), hashlib.sha256(pay).hexdigest(), zlib.crc32(pay[-64:])] += 1
+    assert Counter((r["doc_id"], r["n_bytes"], r["payload_bytes"], r["payload_sha256"], r["tail_crc32"]) for r in got) == want
+    assert len({(r["media_bytes"], r["media_sha256"], r["feature"]) for r in got if r["doc_id"] in (2, 3)}) == 1
+    spark.createDataFrame([], "doc_id long, text string").write.parquet(f"{tmp_path}/e/documents.parquet")
+    assert media.op2_media_columns(spark, f"{tmp_path}/e").count() == 0
+
+
 # 3
 
 
@@ -202,10 +219,25 @@ def test_edited_text_and_odd_rows(spark, tmp_path):
     odd(spark).write.parquet(f"{tmp_path}/documents.parquet")
     rows = {r["doc_id"]: r for r in simhash.op3_simhash(spark, str(tmp_path)).collect()}
     assert set(rows) == {None, 1, 2, 3, 4, 5} and rows[2]["fingerprint"] == rows[3]["fingerprint"] == "0" * 16
+    assert simhash.op3_simhash(spark, str(tmp_path)).count() == 7
     empty(spark).write.parquet(f"{tmp_path}/e/documents.parquet")
     assert simhash.op3_simhash(spark, f"{tmp_path}/e").count() == 0
 
 
+def test_rows_that_share_an_id_all_stay(spark):
+    """Against the contract by plain Python: order by id, then by a hash of the text; the next row's text patches this one's."""
+    rng = random.Random(4)
+    rows = [(rng.choice([None, 1, 2, 3, 9, 40]), rng.choice(["", "one two", "a b c d e f g h", "é漢🙂 end", "one two", "xyz " * rng.randint(1, 9)])) for _ in range(30)]
+    d = spark.createDataFrame(rows, "doc_id long, text string").withColumn("dup", F.lit("clash"))
+    order = sorted(rows, key=lambda r: (-(2**63) if r[0] is None else r[0], hashlib.md5(r[1].encode()).hexdigest()))
+    want = Counter()
+    for (i, t), (_, after) in zip(order, [*order[1:], order[0]]):
+        cut = len(t) // 4
+        want[i, len(t), t[: len(t) - cut] + after[:cut]] += 1
+    got = Counter((None if r["key"] == -(2**63) else r["key"], r["n_chars"], r["edited"]) for r in simhash.with_edited(keyed(d)).collect())
+    assert got == want
+
+
 def test_hamming_search_is_exact(spark):
     rng = random.Random(2)
     base = [rng.getrandbits(64) for _ in range(20)]
@@ -278,6 +310,53 @@ def test_language_model(spark, tmp_path):
     assert maxent_lm.op5_maxent_lm(spark, f"{tmp_path}/e").count() == 0
 
 
+def plain_log10(w, units):
+    """log10 probability of a text's units, token by token, from the definition of the model."""
+    out = []
+    rows = lambda kind, a, b, low, n: int(maxent_lm._hash(kind, np.array([a]), np.array([b]), low, n)[0])
+    for i, u in enumerate(units):
+        one, two = units[i - 1] if i else maxent_lm.UNITS, units[i - 2] if i > 1 else maxent_lm.UNITS
+        cls, slot = int(maxent_lm._CLASS_OF[u]), int(maxent_lm._SLOT_OF[u])
+        a = [0, rows(1, one, 0, 1, maxent_lm.CLASS_ROWS), rows(2, one, two, 1, maxent_lm.CLASS_ROWS), rows(3, two, 0, 1, maxent_lm.CLASS_ROWS)]
+        b = [cls, rows(5, one, cls, maxent_lm.CLASSES, maxent_lm.WORD_ROWS), rows(6, two, cls, maxent_lm.CLASSES, maxent_lm.WORD_ROWS)]
+        p = 1.0
+        for table, at, pick in ((w.to_class, a, cls), (w.to_slot, b, slot)):
+            z = [math.exp(sum(float(table[r, j]) for r in at)) for j in range(table.shape[1])]
+            p *= z[pick] / sum(z)
+        out.append(math.log10(p))
+    return out
+
+
+def test_scores_against_a_plain_loop(spark):
+    """The whole score of documents: units by a plain softmax, rarer words by their share of their shape."""
+    rng = random.Random(6)
+    texts = [" ".join(rng.choice(["the", "cat", "sat.", "on", "mat", f"Rare{rng.randint(0, 60)},"]) for _ in range(rng.randint(0, 30))) for _ in range(60)] + ["", None, "unseen words here!"]
+    d = maxent_lm.with_split(docs(spark, texts))
+    learn = d.filter(~F.col("held_out"))
+    counts = maxent_lm.word_counts(learn)
+    n = {r["word"].encode(): r["n"] for r in counts.collect()}
+    for head in (maxent_lm.HEAD, 8):
+        vocab = maxent_lm.vocabulary(counts, head)
+        assert len(vocab.words) <= head and all(n[a] > n[b] for a in vocab.words for b in n if b not in vocab.words)
+        shared = spark.sparkContext.broadcast(vocab)
+        w = maxent_lm.Weights.start(vocab)
+        noise = np.random.default_rng(3)
+        w.to_class += noise.normal(size=w.to_class.shape).astype(np.float32)
+        w.to_slot += noise.normal(size=w.to_slot.shape).astype(np.float32)
+        got = {r["doc_id"]: r["score"] for r in maxent_lm.score(d, counts, vocab, shared, w).collect()}
+        units = vocab.words[: maxent_lm.UNITS - maxent_lm.SHAPES]
+        rest = [x for x in n if x not in units]
+        for i, t in enumerate(texts):
+            ws = (t or "").encode().lower().split() + [b""]
+            us = [units.index(x) if x in units else maxent_lm.UNITS - maxent_lm.SHAPES + maxent_lm.shape(x) for x in ws]
+            want = sum(plain_log10(w, us))
+            for x in ws:
+                if x not in units:
+                    mine = [y for y in rest if maxent_lm.shape(y) == maxent_lm.shape(x)]
+                    want += math.log10((n.get(x, 0) + 0.1) / (sum(n[y] for y in mine) + 0.1 * (len(mine) + 1)))
+            assert math.isclose(got[i], want, rel_tol=1e-4, abs_tol=1e-4), (head, i)
+
+
 def test_model_sums_to_one():
     words = [b"", *[f"w{i}".encode() for i in range(50)]]
     vocab = maxent_lm.Vocabulary(words, np.arange(51, 0, -1.0), 1326, 51, np.zeros(16), np.zeros(16))
@@ -384,6 +463,31 @@ def test_signatures_meet_every_link():
                 assert jaccard_join.near_pairs(np.array([len(sa), len(sb)]), sk, limit).shape == (1, 2)
 
 
+def test_near_pairs_connect_what_pairs_would():
+    rng = random.Random(12)
+    limit = jaccard_join.Threshold(80, 100)
+    for _ in range(30):
+        base = [frozenset(rng.sample(range(10**9), rng.randint(5, 60))) for _ in range(3)]
+        sets = []
+        for _ in range(40):
+            x = set(rng.choice(base))
+            for y in rng.sample(sorted(x), rng.randint(0, 3)):
+                x.remove(y)
+            sets.append(np.array(sorted(x | {rng.randrange(10**9) for _ in range(rng.randint(0, 2))}), np.uint64) * np.uint64(0x9E3779B97F4A7C15))
+        sets = [np.sort(x) for x in sets]
+        n, sk = np.array([len(x) for x in sets]), [jaccard_join.sketch(x) for x in sets]
+        wide = jaccard_join.stacked(sk, min(map(len, sk)))
+        all_, got = jaccard_join.Forest(len(sets)), jaccard_join.Forest(len(sets))
+        for i in range(len(sets)):
+            for j in range(i):
+                small, large = sorted((int(n[i]), int(n[j])))
+                if large <= small * 100 // 80 and np.abs(wide[i] - wide[j]).sum() <= (small + large) * 20 // 180:
+                    all_.join(i, j)
+        for i, j in jaccard_join.near_pairs(n, sk, limit).tolist():
+            got.join(i, j)
+        assert [all_.find(i) for i in range(len(sets))] == [got.find(i) for i in range(len(sets))]
+
+
 def test_t_occurrence_against_counting():
     rng = random.Random(9)
     for _ in range(300):
@@ -393,6 +497,12 @@ def test_t_occurrence_against_counting():
         assert sorted(jaccard_join.t_occurrence(lists, t)) == want
 
 
+def test_components_of_large_stars(spark):
+    edges = [(0, i) for i in range(1, 700)] + [(1000, i) for i in range(1001, 1400)] + [(1399, 1400), (5000, 5001)]
+    got = {r["node"]: r["root"] for r in jaccard_join.components(spark.createDataFrame(edges, "a long, b long")).collect()}
+    assert got == {**dict.fromkeys(range(700), 0), **dict.fromkeys(range(1000, 1401), 1000), 5000: 5000, 5001: 5000}
+
+
 def test_components_on_chains(spark):
     pairs = [(i, i + 1) for i in range(40)] + [(100, 101), (103, 101), (7, 7)]
     got = {r["node"]: r["root"] for r in jaccard_join.components(spark.createDataFrame(pairs, "a long, b long")).collect()}
@@ -411,6 +521,21 @@ def test_keep_one_row(spark):
 # 8
 
 
+def test_token_files_read_in_small_pieces(spark, monkeypatch):
+    """Offsets, counts and checksums do not depend on shards or on how many documents are read at a time."""
+    texts = ["one two three", "", None, "word " * 500, *[f"text number {i}" for i in range(40)]]
+    want = None
+    for shards, n_docs, n_ids in ((1, 2048, 1 << 22), (7, 3, 1 << 22), (5, 2048, 10)):
+        monkeypatch.setattr(elias_fano, "READ_DOCS", n_docs)
+        monkeypatch.setattr(elias_fano, "READ_IDS", n_ids)
+        root = scratch(spark, "tokens")
+        m = elias_fano.write_token_files(docs(spark, texts, start=-5), WORD, root, shards=shards)
+        got = sorted(map(tuple, elias_fano.read_shards(spark, m, root).collect()))
+        assert want is None or got == want
+        want = got
+    assert [r[0] for r in want] == list(range(-5, len(texts) - 5)) and want[1][2] == 1
+
+
 def test_elias_fano_sequences():
     rng = np.random.default_rng(6)
     for v in (np.zeros(1000), np.arange(700), np.sort(rng.integers(0, 2**50, 2000)), np.sort(rng.integers(0, 30, 2000)), np.array([5]), np.array([], dtype=int), np.array([0, 2**62])):

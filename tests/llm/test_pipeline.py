@@ -1,5 +1,7 @@
 """The pipeline's stages against their plain meaning on the smallest tables."""
 
+from pyspark.sql import functions as F
+
 import corpus_pipeline as cp
 from crowding.llm import queries
 
@@ -43,6 +45,38 @@ def test_stages(spark):
     assert len(out) == mixed.count() and all(r["n_tokens"] == len(r["ids"]) for r in out)
 
 
+def test_chain_on_odd_rows(spark, tmp_path):
+    """All stages over nulls, empty, long and repeated rows and columns with clashing names, against plain Python."""
+    from tokenizers import Tokenizer
+
+    import public_tokenizers
+
+    long = " ".join(f"word{i}" for i in range(60_000))
+    rows = [(i, f"clean text number {i} about plain things of the day and more words {i * 7}", "en", f"s{i % 2}", 1) for i in range(40)]
+    rows += [(40, rows[3][1], "en", "s0", 1), (3, rows[3][1], "en", "s1", 1), (41, None, None, None, None), (42, "", "en", "s0", 0), (None, "no id but some words to read here", "fr", None, 1), (43, long, "en", "s1", 1), (44, long + " end", "en", "s1", 1)]
+    schema = "doc_id long, text string, lang string, source string, n_chars long"
+    spark.createDataFrame(rows, schema).write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame([], "doc_id long, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
+    docs = spark.read.parquet(f"{tmp_path}/documents.parquet")
+    for name in ("p_grade_0", "key", "mix_src", "ids_", "n", "dd__k2"):
+        docs = docs.withColumn(name, F.lit("clash"))
+    clean = cp.drop_toxic(spark, docs, str(tmp_path))
+    assert clean.count() == len(rows)  # nothing is known of toxic texts
+    one = cp.drop_near_copies(spark, docs.drop("p_grade_0"), str(tmp_path))
+    left = sorted((-1 if r["doc_id"] is None else r["doc_id"]) for r in one.collect())
+    assert left == sorted([*range(40), 41, 42, -1, 43])
+    mixed = cp.mix_sources(spark, one, str(tmp_path))
+    assert mixed.columns == one.columns and {r["doc_id"] for r in mixed.collect()} <= {r["doc_id"] for r in one.collect()}
+    tok = Tokenizer.from_file(str(public_tokenizers.path("byte_bpe_50k.json")))
+    text = {r["doc_id"]: r["text"] for r in one.collect()}
+    for r in cp.encode(spark, mixed, str(tmp_path)).collect():
+        assert r["ids"] == tok.encode(text[r["doc_id"]] or "", add_special_tokens=False).ids and r["n_tokens"] == len(r["ids"])
+    none = docs.filter("false")
+    for _, stage in cp.STAGES:
+        none = stage(spark, none, str(tmp_path))
+        assert none.count() == 0
+
+
 def test_names():
     names = list(queries.queries())
     assert sorted(int(n[2:].split("_")[0]) for n in names) == list(range(1, 11))
