@@ -11,7 +11,7 @@ import time
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass, field
-from itertools import chain
+from itertools import chain, islice
 
 import numpy as np
 
@@ -23,6 +23,8 @@ from crowding.core.realization import Instance
 
 #: Units of work of a phase, for one graph and one k.
 WORK = 2000
+#: Lifts near which the heuristic also ends.
+NEAR = 3
 
 
 @dataclass
@@ -257,9 +259,11 @@ def greedy_groups(degrees: np.ndarray, k: int) -> np.ndarray:
     return out
 
 
-def cluster_baseline(inst: Instance, k: int, rounds: int = 40, seed: int = 0) -> set[tuple[int, int]] | None:
+def cluster_baseline(inst: Instance, k: int, rounds: int = 40, seed: int = 0, x=None) -> set[tuple[int, int]] | None:
     """Clustering baseline, only named in the reference: a reconstruction.
 
+    x: crossings of a lift that take the place of the first round's groups; then this is no baseline, but ends near the lift.
+
     Group, raise every group to its top, join those that ask among themselves, and give what is left to
     non-neighbours of low degree; repeat until the graph is crowded. Those who are given an edge beyond their own
     demand move up a block, so they are taken where the block they leave and the one they enter stay full, as long as there are such.
@@ -294,14 +298,21 @@ def cluster_baseline(inst: Instance, k: int, rounds: int = 40, seed: int = 0) ->
             while at < len(rows) and deg[rows[at]] == d:
                 order.append((d, rows[at]))
                 at += 1
-        want = greedy_groups(np.array([d for d, _ in order], np.int64), k)
-        target = {v: int(t) for (_, v), t in zip(order, want) if v is not None}
-        dem = {v: t - deg[v] for v, t in target.items() if t > deg[v]}
+        if r == 0 and x is not None:
+            dem = re_.choose(inst, re_.decompose(inst.blocks, x), "least_conflict")
+            if dem is None:
+                return None
+            target = {v: d + dem.get(v, 0) for v, d in deg.items()}
+            size = Counter({d: int(n) for d, n in enumerate(lifted(inst.blocks, x)) if n})
+        else:
+            want = greedy_groups(np.array([d for d, _ in order], np.int64), k)
+            target = {v: int(t) for (_, v), t in zip(order, want) if v is not None}
+            dem = {v: t - deg[v] for v, t in target.items() if t > deg[v]}
+            size = Counter(int(t) for t in want)
         edges, stuck = re_.greedy_connect(dem, adj, "largest" if r == 0 else "random", seed + r)
         for u, v in edges:
             join(u, v)
-        # sizes once all demands are met, and who will be where
-        size = Counter(int(t) for t in want)
+        # size is what blocks have once all demands are met; level tells who will be where
         level: dict[int, list[int]] = {}
         for v in sorted(target):
             level.setdefault(target[v], []).append(v)
@@ -417,10 +428,16 @@ def solve(inst: Instance, k: int, work: float | None = WORK, seconds: float | No
     bound = realizable_lower_bound(inst, k, work=work, seconds=seconds)
     t1 = time.monotonic()
     lifts = chain(bound.passing, bound.more) if bound.passing else iter(_cheap_lifts(inst.blocks, k, Meter(work, seconds)))
-    found = upper_bound(inst, k, (x for x in lifts if isinstance(x, Lift)), work, seconds, 2 * bound.lower_edges)
-    if found is None:  # nothing near a lift was realized: end near one and crowd again
-        near = two_phase_baseline(inst, k)
-        found = None if near is None else Found(near, (), "near", 0)
+    lifts = (x for x in lifts if isinstance(x, Lift))
+    first = list(islice(lifts, NEAR))
+    found = upper_bound(inst, k, chain(first, lifts), work, seconds, 2 * bound.lower_edges)
+    if found is None or len(found.edges) > bound.lower_edges:  # end near a lift and crowd again
+        for lift in first:
+            near = cluster_baseline(inst, k, x=lift.x)
+            if near is not None and (found is None or len(near) < len(found.edges)):
+                found = Found(near, lift.x, "near", 0)
+    if found is None and (near := two_phase_baseline(inst, k)) is not None:
+        found = Found(near, (), "near", 0)
     t2 = time.monotonic()
     ch = cluster_baseline(inst, k) if with_cluster else None
     t3 = time.monotonic()
