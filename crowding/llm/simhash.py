@@ -3,7 +3,8 @@
 Terms are runs of up to three words at every word position, in lower case; a term weighs its first word's
 length, 8 at most, and counts as often as it occurs. Each term's 64-bit hash votes with its weight for or
 against every bit. Votes are summed as packed counters: 16 longs of four 16-bit lanes, over pieces of at
-most 4096 positions, so that no lane can overflow (4096 * 8 < 2^16); then pieces are unpacked and added.
+most 2048 positions, so that no lane can overflow and the highest one stays below the sign of its long (2048 * 8 < 2^15);
+then pieces are unpacked and added.
 
 Search cuts fingerprints into blocks; two of them within the radius agree on all but that many blocks, so
 one of the permuted tables, keyed by every choice of the other blocks, holds both under the same key. A
@@ -17,18 +18,19 @@ the last is the first; a single document is its own successor.
 
 from __future__ import annotations
 
+from contextlib import contextmanager
 from itertools import combinations
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from crowding.llm.common import bucket_of, keyed, partitions, range_bounds, table, unkey
+from crowding.llm.common import bucket_of, keyed, partitions, range_bounds, settle, table, unkey
 
 RADIUS = 3
 BLOCKS = 6
 _LANES = 0x0001000100010001
-_PIECE = 12  # bits of a position within a piece
+_PIECE = 11  # bits of a position within a piece
 
 
 def numbered(docs: DataFrame, *cols: str) -> DataFrame:
@@ -137,6 +139,18 @@ def with_edited(docs: DataFrame) -> DataFrame:
     )
 
 
+@contextmanager
+def dealt_once(spark: SparkSession):
+    """Texts dealt by key to be numbered stay where they are to be joined by (key, dup), instead of travelling again."""
+    name = "spark.sql.requireAllClusterKeysForCoPartition"
+    before = spark.conf.get(name)
+    spark.conf.set(name, "false")
+    try:
+        yield
+    finally:
+        spark.conf.set(name, before)
+
+
 def op3_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Fingerprints of every text and its edited text, their likeness, and for every 20th id how many
     documents lie within the radius of it (n_within; null for others)."""
@@ -148,9 +162,8 @@ def op3_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     keys = ["key", "dup", "next_key", "next_dup", "n_chars", "edited_sha256", "edit"]
     fps = fingerprint(terms(both, keys, "body"), keys)
     pair = fps.groupBy(*keys[:-1]).agg(F.max(F.when(F.col("edit") == 0, F.col("fp"))).alias("fp"), F.max(F.when(F.col("edit") == 1, F.col("fp"))).alias("edited_fp"))
-    from crowding.llm.common import settle
-
-    pair = settle(pair, "fingerprints")
+    with dealt_once(spark):
+        pair = settle(pair, "fingerprints")
     groups = pair.groupBy("fp").agg(F.count(F.lit(1)).alias("n"))
     asked = pair.filter(F.pmod(F.col("key"), F.lit(20)) == 0).select("fp").distinct()
     found = within_radius(groups, asked).groupBy(F.col("query_fp").alias("fp")).agg(F.sum("n").alias("n_found"))

@@ -212,6 +212,22 @@ def test_simhash_votes_by_hand(spark):
     assert got[1] == 0
 
 
+def test_votes_of_one_long_word_stay_within_a_long(spark):
+    """4096 equal terms of weight 8 would bring the highest lane to 2^63."""
+    d = keyed(docs(spark, [f"{w}longword " * 5000 for w in "abcdefgh"]))
+    t = simhash.terms(d, ["key"], "text")
+    want = {r["key"]: r["h"] for r in t.filter("piece = 0").groupBy("key").agg(F.mode("hash").alias("h")).collect()}
+    assert any(h < 0 for h in want.values())
+    assert {r["key"]: r["fp"] for r in simhash.fingerprint(t, ["key"]).collect()} == want
+
+
+def test_texts_are_dealt_once(spark):
+    d = keyed(docs(spark, ["one two", "three", "four"] * 5))
+    with simhash.dealt_once(spark):
+        plan = simhash.with_edited(d)._jdf.queryExecution().executedPlan().toString()
+    assert not [x for x in plan.splitlines() if "hashpartitioning(key" in x and "dup" in x.split("hashpartitioning(")[1].split(")")[0]]
+
+
 def test_edited_text_and_odd_rows(spark, tmp_path):
     d = docs(spark, ["abcdefgh", "XYZ", "é漢🙂w" * 3, ""], start=5)
     got = {r["key"]: r["edited"] for r in simhash.with_edited(keyed(d)).collect()}
