@@ -240,8 +240,17 @@ def near_pairs(n: np.ndarray, sketches: list[bytes], limit: Threshold) -> np.nda
     return np.array(out, np.int64).reshape(-1, 2)
 
 
+def spanning(pairs: np.ndarray) -> np.ndarray:
+    """Of rows (a, b) as many as connect what all of them connect: fewer than there are nodes."""
+    nodes, at = np.unique(pairs, return_inverse=True)
+    forest = Forest(len(nodes))
+    keep = [forest.join(i, j) for i, j in at.reshape(-1, 2).tolist()]
+    return pairs[np.array(keep, dtype=bool)]
+
+
 def candidate_edges(groups: DataFrame, nodes: DataFrame, limit: Threshold) -> DataFrame:
-    """(a, b) of nodes with a common signature that may link; groups: sign, node; nodes: node, n, sketch."""
+    """(a, b) that connect nodes with a common signature that may link, a task's as a forest, as only components are asked
+    for; groups: sign, node; nodes: node, n, sketch."""
     buckets = max(partitions(groups.sparkSession), groups.count() // COMPARED + 1)
 
     def check(pdf: pd.DataFrame) -> pd.DataFrame:
@@ -261,7 +270,7 @@ def candidate_edges(groups: DataFrame, nodes: DataFrame, limit: Threshold) -> Da
         for f, m in zip(first[size > 2].tolist(), size[size > 2].tolist()):
             out.append(node[f : f + m][near_pairs(n[f : f + m], sk[f : f + m], limit)])
         pairs = np.concatenate(out)
-        pairs = np.unique(np.sort(pairs[pairs[:, 0] != pairs[:, 1]], axis=1), axis=0)
+        pairs = spanning(np.unique(np.sort(pairs[pairs[:, 0] != pairs[:, 1]], axis=1), axis=0))
         release()
         return pd.DataFrame({"a": pairs[:, 0], "b": pairs[:, 1]})
 

@@ -479,6 +479,21 @@ def test_signatures_meet_every_link():
                 assert jaccard_join.near_pairs(np.array([len(sa), len(sb)]), sk, limit).shape == (1, 2)
 
 
+def test_candidates_of_a_task_are_a_forest(spark):
+    """30 near copies met under 40 signatures of random members: fewer rows than nodes in a task, and all stay connected."""
+    rng = random.Random(3)
+    limit = jaccard_join.Threshold(80, 100)
+    sk = jaccard_join.sketch(np.arange(50, dtype=np.uint64) << np.uint64(58))
+    nodes = spark.createDataFrame([(i, 50, sk) for i in range(30)], "node long, n long, sketch binary")
+    groups = spark.createDataFrame([(4 * s, i) for s in range(40) for i in ([0, 1 + s % 29] if s < 29 else rng.sample(range(30), 12))], "sign long, node long")
+    got = [tuple(r) for r in jaccard_join.candidate_edges(groups, nodes, limit).collect()]
+    forest = jaccard_join.Forest(30)
+    for a, b in got:
+        forest.join(a, b)
+    tasks = groups.select(F.pmod("sign", F.lit(jaccard_join.partitions(spark))).alias("t"), "node").groupBy("t").agg(F.count_distinct("node").alias("n")).collect()
+    assert forest.trees == 1 and len(got) <= sum(r["n"] - 1 for r in tasks)
+
+
 def test_near_pairs_connect_what_pairs_would():
     rng = random.Random(12)
     limit = jaccard_join.Threshold(80, 100)
