@@ -41,7 +41,7 @@ from crowding.llm.common import claim, join_counted, keyed, partitions, release,
 #: Signatures a group of cells may bring to one task, and shingles a task of the search may hold.
 SIGNED = 300_000
 WEIGHT = 500_000
-#: Signatures a task of the first step holds before it hands them on, nodes a task compares, and cells of a comparison.
+#: Signatures a task of the first step holds before it hands them on, nodes a task compares at a time, and cells of a comparison.
 HELD = 250_000
 COMPARED = 20_000
 CELLS = 1_000_000
@@ -250,13 +250,12 @@ def spanning(pairs: np.ndarray) -> np.ndarray:
 
 def candidate_edges(groups: DataFrame, nodes: DataFrame, limit: Threshold) -> DataFrame:
     """(a, b) that connect nodes with a common signature that may link, a task's as a forest, as only components are asked
-    for; groups: sign, node; nodes: node, n, sketch."""
-    buckets = max(partitions(groups.sparkSession), groups.count() // COMPARED + 1)
+    for; groups: sign, node; nodes: node, n, sketch.
 
-    def check(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values("sign", kind="stable")
-        sign, node, n = (pdf[c].to_numpy() for c in ("sign", "node", "n"))
-        sk = pdf["sketch"].tolist()
+    A task goes through its signatures in order, holds some of them at a time and a forest of what it has handed on. There
+    are no more tasks for more texts: each would tell anew how the members of one group of copies are connected."""
+
+    def check(sign: np.ndarray, node: np.ndarray, n: np.ndarray, sk: list[bytes]) -> np.ndarray:
         first = np.flatnonzero(np.append(True, sign[1:] != sign[:-1]))
         size = np.diff(np.append(first, len(sign)))
         two = first[size == 2]
@@ -270,12 +269,35 @@ def candidate_edges(groups: DataFrame, nodes: DataFrame, limit: Threshold) -> Da
         for f, m in zip(first[size > 2].tolist(), size[size > 2].tolist()):
             out.append(node[f : f + m][near_pairs(n[f : f + m], sk[f : f + m], limit)])
         pairs = np.concatenate(out)
-        pairs = spanning(np.unique(np.sort(pairs[pairs[:, 0] != pairs[:, 1]], axis=1), axis=0))
-        release()
-        return pd.DataFrame({"a": pairs[:, 0], "b": pairs[:, 1]})
+        return spanning(np.unique(np.sort(pairs[pairs[:, 0] != pairs[:, 1]], axis=1), axis=0))
 
-    rows = groups.join(nodes, "node").withColumn("bucket", F.pmod(F.col("sign"), F.lit(buckets)))
-    return rows.groupBy("bucket").applyInPandas(check, "a long, b long")
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held, rows, told = [], 0, Told()
+
+        def flush(ended: bool) -> pa.RecordBatch:
+            """Of whole signatures; the last one may go on in the next batch."""
+            nonlocal held, rows
+            t = pa.Table.from_batches(held).combine_chunks()
+            sign = t.column("sign").to_numpy()
+            stop = len(sign) if ended else int(np.searchsorted(sign, sign[-1]))
+            held, rows = t.slice(stop).to_batches(), len(sign) - stop
+            t = t.slice(0, stop)
+            pairs = check(sign[:stop], t.column("node").to_numpy(), t.column("n").to_numpy(), t.column("sketch").to_pylist())
+            pairs = pairs[np.array([told.join(a, b) for a, b in pairs.tolist()], dtype=bool)]
+            return pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], names=["a", "b"])
+
+        for b in slices(batches, COMPARED):
+            if b.num_rows:
+                held.append(b)
+                rows += b.num_rows
+            if rows >= COMPARED and b.column("sign")[-1] != held[0].column("sign")[0]:
+                yield flush(False)
+        if rows:
+            yield flush(True)
+
+    tasks = partitions(groups.sparkSession)
+    dealt = groups.join(nodes, "node").select("sign", "node", "n", "sketch").repartitionById(tasks, F.pmod("sign", F.lit(tasks)).cast("int"))
+    return dealt.sortWithinPartitions("sign").mapInArrow(released(run), "a long, b long")
 
 
 def candidate_groups(docs: DataFrame, width: int, limit: Threshold, total: int) -> DataFrame:
@@ -394,6 +416,27 @@ class Forest:
         return True
 
 
+class Told:
+    """A forest of node ids, forgotten when it has HELD of them: what comes then is told once more."""
+
+    def __init__(self):
+        self.up: dict[int, int] = {}
+
+    def join(self, i: int, j: int) -> bool:
+        if len(self.up) > HELD:
+            self.up.clear()
+        i, j = self._root(i), self._root(j)
+        self.up[max(i, j)] = min(i, j)
+        return i != j
+
+    def _root(self, i: int) -> int:
+        up = self.up
+        while (j := up.setdefault(i, i)) != i:
+            up[i] = up[j]
+            i = j
+        return i
+
+
 def link_cluster(sets: list[np.ndarray], limit: Threshold) -> list[tuple[int, int]]:
     """Links that connect what the sets' links connect (places in the list), found by T-occurrence queries."""
     order = sorted(range(len(sets)), key=lambda i: len(sets[i]))

@@ -494,6 +494,22 @@ def test_candidates_of_a_task_are_a_forest(spark):
     assert forest.trees == 1 and len(got) <= sum(r["n"] - 1 for r in tasks)
 
 
+def test_candidates_do_not_grow_with_signatures(spark, monkeypatch):
+    """One group of near copies met under ever more signatures: each task tells once how it is connected, however many batches it takes."""
+    monkeypatch.setattr(jaccard_join, "COMPARED", 50)
+    rng = random.Random(4)
+    limit = jaccard_join.Threshold(80, 100)
+    sk = jaccard_join.sketch(np.arange(50, dtype=np.uint64) << np.uint64(58))
+    nodes = spark.createDataFrame([(i, 50, sk) for i in range(60)] + [(60, 50, jaccard_join.sketch(np.arange(50, dtype=np.uint64)))], "node long, n long, sketch binary")
+    groups = spark.createDataFrame([(s, i) for s in range(600) for i in rng.sample(range(60), 2 + s % 90 // 2)] + [(600, 0), (600, 60)], "sign long, node long")
+    got = [tuple(r) for r in jaccard_join.candidate_edges(groups, nodes, limit).collect()]
+    forest = jaccard_join.Forest(61)
+    for a, b in got:
+        forest.join(a, b)
+    assert forest.trees == 2 and forest.find(60) == 60 and len(got) <= 59 * jaccard_join.partitions(spark)
+    assert jaccard_join.candidate_edges(groups.limit(0), nodes, limit).count() == 0
+
+
 def test_near_pairs_connect_what_pairs_would():
     rng = random.Random(12)
     limit = jaccard_join.Threshold(80, 100)
